@@ -49,9 +49,9 @@ def mutual_information_buckets(blocks: DataFrame, top_m: int | None = 16, min_mi
 
 
 def edges_of(rows: DataFrame, order: str, node: str) -> DataFrame:
-    """Distinct (crash_id, edge): neighbouring nodes of each crash's graph."""
+    """Distinct (target, crash_id, u, v, edge): neighbouring nodes of each crash's graph."""
     nxt = F.lead(node).over(Window.partitionBy("crash_id").orderBy(order))
-    return rows.select("target", "crash_id", F.concat_ws(">", F.col(node), nxt).alias("edge"), nxt.alias("n")).where("n is not null").select("target", "crash_id", "edge").distinct()
+    return rows.select("target", "crash_id", F.col(node).alias("u"), nxt.alias("v")).where("v is not null").distinct().withColumn("edge", F.concat_ws(">", "u", "v"))
 
 
 def edge_jaccard(edges: DataFrame) -> DataFrame:
@@ -65,7 +65,7 @@ def edge_jaccard(edges: DataFrame) -> DataFrame:
 
 def wl_labels(edges: DataFrame, rounds: int = 2) -> DataFrame:
     """(target, crash_id, feature) of neighbourhood relabelling: each round a node takes the hash of its label and its followers' labels."""
-    pairs = edges.select("target", "crash_id", F.split("edge", ">")[0].alias("u"), F.split("edge", ">")[1].alias("v"))
+    pairs = edges.select("target", "crash_id", "u", "v")
     label = pairs.select("target", "crash_id", F.explode(F.array("u", "v")).alias("node")).distinct().withColumn("label", F.md5("node"))
     out = label.select("target", "crash_id", F.col("label").alias("feature"))
     for _ in range(rounds):
@@ -166,13 +166,14 @@ def dbscan_search(points: DataFrame, num_steps: int = 20) -> DataFrame:
         tree = prim(x)
         label = np.zeros(len(x), dtype=np.int64)
         if tree:
-            cut = lambda eps: (canonical(_cut(tree, len(x), eps)), [])
-            runs = assess(search(cut, tree[0][2], tree[-1][2], num_steps), condense(len(x), tree), x)
-            for r in runs:
-                lone = np.bincount(r.label)[r.label] == 1
-                r.persistence = 0.0  # the choice goes by validity and size alone
-                r.label = np.where(lone, r.label, r.label)
-            label = choose(runs).label
+
+
+            def cut(eps: float) -> tuple[np.ndarray, list[int]]:
+                own = _cut(tree, len(x), eps)
+                return canonical(np.where(np.bincount(own, minlength=len(x))[own] == 1, NOISE, own)), []
+
+            # no cluster is selected, so persistence is 0 and the choice goes by validity and size
+            label = choose(assess(search(cut, tree[0][2], tree[-1][2], num_steps), condense(len(x), tree), x)).label
         return pd.DataFrame({"target": pdf["target"], "point": pdf["point"], "bucket": label[index]})
 
     return points.select("target", "point", "vec").groupBy("target").applyInPandas(run, ASSIGNED)

@@ -234,7 +234,7 @@ def _local_tree(m_pts: int):
         pdf = pdf.sort_values("point")
         x, ids = _matrix(pdf["vec"]), pdf["point"].to_numpy()
         edges = prim(x, core_distance(x, m_pts))
-        return pd.DataFrame({"target": pdf["target"].iloc[0], "a": ids[[e[0] for e in edges]], "b": ids[[e[1] for e in edges]], "dist": [e[2] for e in edges]}) if edges else pd.DataFrame({"target": [], "a": [], "b": [], "dist": []})
+        return pd.DataFrame({"target": pdf["target"].iloc[0], "a": ids[[e[0] for e in edges]], "b": ids[[e[1] for e in edges]], "dist": [e[2] for e in edges]}) if edges else pd.DataFrame({"target": pd.Series(dtype=str), "a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64"), "dist": pd.Series(dtype=float)})
 
     return run
 

@@ -239,7 +239,7 @@ def m17_cosine(spark, sf_dir):
 
 for _k in (1, 2, 5):
 
-    @query(f"m20_core_distances_k{_k}", f"with {PAIRS_SQL}, ranked as (select a, d, row_number() over (partition by a order by d) + 1 as r from pairs) select a as point, round({'0.0' if _k == 1 else 'd'}, 6) as core from ranked where r = {max(_k, 2)}")
+    @query(f"m20_core_distances_k{_k}", f"with {PAIRS_SQL}, ranked as (select a, d, row_number() over (partition by a order by d) + 1 as r from pairs) select a as point, round({'0 * d' if _k == 1 else 'd'}, 6) as core from ranked where r = {max(_k, 2)}")
     def _m20(spark, sf_dir, k=_k):
         def run(pdf: pd.DataFrame) -> pd.DataFrame:
             return pd.DataFrame({"point": pdf["point"], "core": hi.core_distance(hi._matrix(pdf["vec"]), k)})

@@ -80,7 +80,7 @@ def planted_cfg(spark: SparkSession, sf_dir: str, similarity: str = "edge_jaccar
     crashes = framed(spark, sf_dir)
     nodes = crashes.select("target", "crash_id", F.posexplode(F.transform("frames", lambda f: F.coalesce(f["func"], f["raw"]))).alias("pos", "node"))
     edges = base.edges_of(nodes, "pos", "node")
-    features = edges.withColumnRenamed("edge", "feature") if similarity == "edge_jaccard" else base.wl_labels(edges)
+    features = edges.select("target", "crash_id", F.col("edge").alias("feature")) if similarity == "edge_jaccard" else base.wl_labels(edges)
     own = base.cfg_buckets(features)
     return base.fewer_clusters(own, base.stack_hash(crashes)) if fallback else own
 
