@@ -59,9 +59,9 @@ class Features:
             buckets.append(hash_of(b - k, b, k))
             places.append(b - k)
         if len(words) > 1:
-            same = words[1:] == words[:-1]
-            buckets.append(np.where(same, np.uint64(0), np.uint64(1)))
-            places.append(starts[1:])
+            inside = np.searchsorted(bounds, starts[1:], side="right") == np.searchsorted(bounds, starts[:-1], side="right")
+            buckets.append(np.where(words[1:] == words[:-1], np.uint64(0), np.uint64(1))[inside])
+            places.append(starts[1:][inside])
         return np.concatenate(buckets).astype(np.int64), np.searchsorted(bounds, np.concatenate(places), side="right")
 
 
