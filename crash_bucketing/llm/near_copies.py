@@ -36,7 +36,7 @@ def _similar_pairs(similarity: float, size: int):
     return run
 
 
-def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5, planes: int = 3, radius: int = 4) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5, planes: int = 3, radius: int = 4, every: int = 12) -> DataFrame:
     """The rows of docs, all columns, without those that have a like document with a smaller id in their group.
 
     Groups: connected documents of similarity 0.8 or more. Texts that agree after lower-casing A-Z and splitting into words are
@@ -54,7 +54,7 @@ def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: in
     for p in range(planes):
         fp = F.col(f"fp{p}")
         nodes = prints.groupBy(fp.alias("fp")).agg(F.min("doc_id").alias("least"))
-        near = links(nodes.select("fp"), radius)
+        near = links(nodes.select("fp"), radius, every=every)
         # classes with the same fingerprint are tied to the least of them; linked fingerprints through their least classes
         same = prints.join(nodes, fp == nodes.fp).where("doc_id <> least").select(F.col("doc_id").alias("a"), F.col("least").alias("b"))
         x, y = nodes.select(F.col("fp").alias("a"), F.col("least").alias("la")), nodes.select(F.col("fp").alias("b"), F.col("least").alias("lb"))

@@ -132,8 +132,11 @@ def forest(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
     return links
 
 
-def _links(radius: int, crowd: int):
-    """Streams rows sorted by key; gives (a, b, crowded): links, or (fp, fp, true) for members of a crowded key."""
+def _links(radius: int, crowd: int, every: int):
+    """Streams rows sorted by key; gives (a, b, crowded): links, or (fp, fp, true) for members of a crowded key.
+
+    Keys of at most `every` fingerprints give all their links, larger ones a forest that joins the same fingerprints.
+    """
 
     def groups(keys: np.ndarray, fps: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, bool]]:
         first = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
@@ -146,6 +149,10 @@ def _links(radius: int, crowd: int):
             some = np.unique(fps[f : f + n])
             if len(some) > crowd:
                 yield some, some, True
+            elif len(some) <= every:
+                i, j = np.triu_indices(len(some), 1)
+                near = distance(some[i], some[j]) <= radius
+                yield some[i[near]], some[j[near]], False
             elif links := forest(some, radius):
                 i = np.array(links)
                 yield some[i[:, 0]], some[i[:, 1]], False
@@ -175,13 +182,16 @@ def _links(radius: int, crowd: int):
     return run
 
 
-def links(fps: DataFrame, radius: int = 4, parts: int = 3, crowd: int = CROWD) -> DataFrame:
-    """(a, b) fingerprints: links within the radius that join all linked fingerprints. fps: distinct `fp long`."""
+def links(fps: DataFrame, radius: int = 4, parts: int = 3, crowd: int = CROWD, every: int = 2) -> DataFrame:
+    """(a, b) fingerprints: links within the radius that join all linked fingerprints. fps: distinct `fp long`.
+
+    every: keys of at most so many fingerprints give all their links, for callers that verify each one further.
+    """
 
     def meet(some: DataFrame, parts: int, crowd: int) -> DataFrame:
         spark = some.sparkSession
         n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        return variants(some, radius, parts).repartition(n, "key").sortWithinPartitions("key").mapInArrow(_links(radius, crowd), "a long, b long, crowded boolean")
+        return variants(some, radius, parts).repartition(n, "key").sortWithinPartitions("key").mapInArrow(_links(radius, crowd, every), "a long, b long, crowded boolean")
 
     found = cut(meet(fps, parts, crowd).distinct(), "links")
     again = found.where("crowded").select(F.col("a").alias("fp")).distinct()
