@@ -95,23 +95,28 @@ def fingerprint_table(docs: DataFrame) -> DataFrame:
     return id_text(docs).mapInArrow(_hash_batches, "doc_id long, mark binary, n_bytes long, text_sha256 string")
 
 
+def _row(df: DataFrame) -> DataFrame:
+    """With `row`: the id, a null one as -1. Together with the digest it names a text, so a clash with a real -1 does no harm."""
+    return df.withColumn("row", F.coalesce("doc_id", F.lit(-1)))
+
+
 def unequal_rows(docs: DataFrame, groups: DataFrame, marks: DataFrame, segment_chars: int, broadcast_rows: int) -> DataFrame:
-    """Rows whose text differs from their group's representative although the marks agree: (doc_id, text_sha256)."""
+    """Rows whose text differs from their group's representative although the marks agree: (row, text_sha256)."""
     many = groups.where("n > 1").select("mark", "keep_id", "rep_sha")
-    rows = marks.join(many, "mark").select("doc_id", "text_sha256", "mark", ((F.col("doc_id").eqNullSafe(F.col("keep_id"))) & (F.col("text_sha256") == F.col("rep_sha"))).alias("rep")).distinct()
+    rows = _row(marks.join(many, "mark")).select("row", "text_sha256", "mark", ((F.col("doc_id").eqNullSafe(F.col("keep_id"))) & (F.col("text_sha256") == F.col("rep_sha"))).alias("rep")).distinct()
     rows = cut(rows, "copies")
-    text = id_text(docs).select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    n = rows.count()
-    ids = rows.select("doc_id").distinct()
+    text = _row(id_text(docs)).select("row", F.coalesce("text", F.lit("")).alias("text"))
+    ids = rows.select("row").distinct()
     # a list of at most broadcast_rows ids is a bounded broadcast; a longer one is joined by a shuffle
-    text = text.join(F.broadcast(ids) if n <= broadcast_rows else ids, "doc_id", "left_semi")
-    text = text.select("doc_id", ascii_lower(F.col("text")).alias("norm")).withColumn("text_sha256", F.sha2("norm", 256)).dropDuplicates(["doc_id", "text_sha256"])
-    parts = text.join(rows, ["doc_id", "text_sha256"]).select(
-        "mark", "doc_id", "text_sha256", "rep",
+    text = text.join(F.broadcast(ids) if rows.count() <= broadcast_rows else ids, "row", "left_semi")
+    text = text.select("row", ascii_lower(F.col("text")).alias("norm")).withColumn("text_sha256", F.sha2("norm", 256)).dropDuplicates(["row", "text_sha256"])
+    parts = text.join(rows, ["row", "text_sha256"]).select(
+        "mark", "row", "text_sha256", "rep",
         F.posexplode(F.transform(F.sequence(F.lit(0), F.floor((F.greatest(F.length("norm"), F.lit(1)) - 1) / segment_chars).cast("int")), lambda i: F.substring("norm", i * segment_chars + 1, segment_chars))).alias("pos", "part"),
     )
     own = parts.where("rep").select("mark", "pos", F.col("part").alias("rep_part"))
-    return parts.where("not rep").join(own, ["mark", "pos"], "left").groupBy("doc_id", "text_sha256").agg(F.min(F.coalesce(F.col("part") == F.col("rep_part"), F.lit(False))).alias("equal")).where("not equal").select("doc_id", "text_sha256")
+    # the mark holds the length, so a text that agrees in all its segments has no more and no fewer than the representative
+    return parts.where("not rep").join(own, ["mark", "pos"], "left").groupBy("row", "text_sha256").agg(F.min(F.coalesce(F.col("part") == F.col("rep_part"), F.lit(False))).alias("equal")).where("not equal").select("row", "text_sha256")
 
 
 def exact_duplicates(docs: DataFrame, segment_chars: int = 1 << 20, broadcast_rows: int = 500_000) -> DataFrame:
@@ -132,7 +137,7 @@ def exact_duplicates(docs: DataFrame, segment_chars: int = 1 << 20, broadcast_ro
         best = groups.select("mark", "keep_id", F.col("n").alias("group_size"))
         out = marks.join(best, "mark")
     else:
-        keyed = marks.join(odd.withColumn("odd", F.lit(True)), ["doc_id", "text_sha256"], "left").withColumn("key", F.when(F.col("odd"), F.col("text_sha256")).otherwise(F.lit("")))
+        keyed = _row(marks).join(odd.withColumn("odd", F.lit(True)), ["row", "text_sha256"], "left").withColumn("key", F.when(F.col("odd"), F.col("text_sha256")).otherwise(F.lit("")))
         best = keyed.groupBy("mark", "key").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
         out = keyed.join(best, ["mark", "key"])
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256", "n_bytes")
