@@ -14,15 +14,15 @@ FRAME_TYPE = "array<struct<idx:int,addr:string,func:string,args:string,site:stri
 
 def frame_lines(trace: Column) -> Column:
     """Array of frame texts: a line that starts no frame is joined to the frame before it."""
-    joined = F.regexp_replace(F.trim(F.regexp_replace(trace, "\r", "")), r"\n(?!\s*#\d+\s)\s*", " ")
+    joined = F.regexp_replace(F.regexp_replace(F.regexp_replace(trace, "\r", ""), r"^\s+|\s+$", ""), r"\n(?!\s*#\d+\s)\s*", " ")
     return F.filter(F.split(joined, "\n"), lambda x: F.trim(x) != "")
 
 
 def without_arguments(text: Column) -> Column:
-    """Remove every parenthesised list, innermost first; call operators and unnamed namespaces are kept."""
+    """Remove every parenthesised list within a line, innermost first; call operators and unnamed namespaces are kept."""
     out = F.replace(F.replace(text, F.lit("operator()"), F.lit("operator\x01")), F.lit("(anonymous namespace)"), F.lit("\x02"))
     for _ in range(NESTING):
-        out = F.regexp_replace(out, r" ?\([^()]*\)", "")
+        out = F.regexp_replace(out, r" ?\([^()\n]*\)", "")
     return F.replace(F.replace(out, F.lit("\x01"), F.lit("()")), F.lit("\x02"), F.lit("(anonymous namespace)"))
 
 
@@ -35,7 +35,8 @@ def once(df: DataFrame, **columns: Column) -> DataFrame:
 def parse_lines(lines: Column) -> Column:
     """Array of structs of frame texts. A text without an index is a raw frame: all null but raw."""
     empty_null = lambda c: F.nullif(c, F.lit(""))
-    bare = F.transform(lines, lambda x: F.struct(x.alias("raw"), F.regexp_extract(x, r"^\s*#(\d+)\s", 1).alias("idx"), F.regexp_replace(without_arguments(x), r"^\s*#\d+\s+(0x[0-9a-fA-F]+ in )?", "").alias("body")))
+    bodies = F.split(F.regexp_replace(without_arguments(F.array_join(lines, "\n")), r"(?m)^\s*#\d+\s+(0x[0-9a-fA-F]+ in )?", ""), "\n")
+    bare = F.zip_with(lines, bodies, lambda x, y: F.struct(x.alias("raw"), F.regexp_extract(x, r"^\s*#(\d+)\s", 1).alias("idx"), y.alias("body")))
 
     def parse(s: Column) -> Column:
         framed = s["idx"] != ""
@@ -91,7 +92,7 @@ def full_trace(lines: Column) -> Column:
 
 def coarse_trace(lines: Column) -> Column:
     """Trace without any argument list: index, address, function, library, file and line stay."""
-    return F.array_join(F.transform(lines, without_arguments), "\n")
+    return without_arguments(F.array_join(lines, "\n"))
 
 
 def strip_report_trace(report: Column) -> Column:

@@ -36,8 +36,8 @@ def core_distance(x: np.ndarray, m_pts: int) -> np.ndarray:
     return out
 
 
-def prim(x: np.ndarray, core: np.ndarray | None = None) -> list[tuple[int, int, float]]:
-    """Minimum spanning tree in memory linear in the points; ties go to the smaller pair of positions."""
+def prim(x: np.ndarray, core: np.ndarray | None = None, dist: np.ndarray | None = None) -> list[tuple[int, int, float]]:
+    """Minimum spanning tree in memory linear in the points (unless all distances are given); ties go to the smaller pair of positions."""
     n = len(x)
     if n < 2:
         return []
@@ -47,7 +47,8 @@ def prim(x: np.ndarray, core: np.ndarray | None = None) -> list[tuple[int, int,
     at, edges = 0, []
     for _ in range(n - 1):
         open_[at] = False
-        d = np.maximum(np.maximum(pair_distances(x[at : at + 1], x)[0], core), core[at])
+        row = dist[at] if dist is not None else pair_distances(x[at : at + 1], x)[0]
+        d = np.maximum(np.maximum(row, core), core[at])
         closer = open_ & ((d < best) | ((d == best) & (at < parent)))
         best[closer], parent[closer] = d[closer], at
         rest = np.flatnonzero(open_)

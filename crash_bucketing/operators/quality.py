@@ -12,7 +12,11 @@ def bucket_count(label: np.ndarray) -> int:
     return int((label == NOISE).sum() + len(set(label[label != NOISE].tolist())))
 
 
-def all_points_core(x: np.ndarray) -> np.ndarray:
+#: Up to so many points all distances of a target are held at once (128 MB).
+HELD = 4096
+
+
+def all_points_core(x: np.ndarray, dist: np.ndarray | None = None) -> np.ndarray:
     """Inverse of the mean inverse distance to the power of the dimension, within one cluster, in logarithms."""
     n, dim = x.shape
     if n < 2:
@@ -20,7 +24,7 @@ def all_points_core(x: np.ndarray) -> np.ndarray:
     out = np.empty(n)
     for a in range(0, n, 512):
         with np.errstate(divide="ignore"):
-            logs = -dim * np.log(pair_distances(x[a : a + 512], x))
+            logs = -dim * np.log(dist[a : a + 512] if dist is not None else pair_distances(x[a : a + 512], x))
         logs[np.arange(len(logs)), np.arange(a, a + len(logs))] = -np.inf
         top = logs.max(axis=1)
         with np.errstate(invalid="ignore"):
@@ -29,32 +33,35 @@ def all_points_core(x: np.ndarray) -> np.ndarray:
     return out
 
 
-def validity(x: np.ndarray, label: np.ndarray) -> float:
-    """Density-based validity in [-1, 1]; noise only weighs; fewer than two clusters score 0."""
-    names = [k for k in np.unique(label) if k != NOISE]
+def validity(x: np.ndarray, label: np.ndarray, dist: np.ndarray | None = None) -> float:
+    """Density-based validity in [-1, 1]; noise only weighs; fewer than two clusters score 0. dist: all distances, if held."""
+    names, sizes = np.unique(label[label != NOISE], return_counts=True)
     if len(names) < 2:
         return 0.0
-    parts, cores, inner, sparse = [], [], [], []
-    for k in names:
-        p = x[label == k]
-        core = all_points_core(p)
-        tree = prim(p, core)
-        degree = np.bincount([v for a, b, _ in tree for v in (a, b)], minlength=len(p))
-        within = [d for a, b, d in tree if degree[a] > 1 and degree[b] > 1] or [d for _, _, d in tree]
-        parts.append(p)
-        cores.append(core)
-        inner.append(np.flatnonzero(degree > 1) if (degree > 1).any() else np.arange(len(p)))
-        sparse.append(max(within, default=0.0))
+    inner, cores, sparse = [], [], np.zeros(len(names))
+    for i, k in enumerate(names):
+        at = np.flatnonzero(label == k)
+        own = dist[np.ix_(at, at)] if dist is not None else None
+        core = all_points_core(x[at], own)
+        tree = prim(x[at], core, own)
+        degree = np.bincount([v for a, b, _ in tree for v in (a, b)], minlength=len(at))
+        sparse[i] = max([d for a, b, d in tree if degree[a] > 1 and degree[b] > 1] or [d for _, _, d in tree], default=0.0)
+        some = degree > 1 if (degree > 1).any() else np.ones(len(at), dtype=bool)
+        inner.append(at[some])
+        cores.append(core[some])
+    # least reachability from the internal points of each cluster to those of any other, a block of rows at a time
+    every, core = np.concatenate(inner), np.concatenate(cores)
+    owner = np.repeat(np.arange(len(names)), [len(i) for i in inner])
     apart = np.full(len(names), np.inf)
-    for i in range(len(names)):
-        for j in range(i + 1, len(names)):
-            a, b = inner[i], inner[j]
-            d = np.maximum(np.maximum(pair_distances(parts[i][a], parts[j][b]), cores[i][a][:, None]), cores[j][b][None, :]).min()
-            apart[i], apart[j] = min(apart[i], d), min(apart[j], d)
-    sparse = np.array(sparse)
+    for a in range(0, len(every), 512):
+        rows = every[a : a + 512]
+        d = dist[np.ix_(rows, every)] if dist is not None else pair_distances(x[rows], x[every])
+        d = np.maximum(np.maximum(d, core[a : a + 512, None]), core[None, :])
+        d[owner[a : a + 512, None] == owner[None, :]] = np.inf
+        np.minimum.at(apart, owner[a : a + 512], d.min(axis=1))
     top = np.maximum(apart, sparse)
     each = np.where(top > 0, (apart - sparse) / np.where(top > 0, top, 1), 0.0)
-    return float(sum(len(p) * v for p, v in zip(parts, each, strict=True)) / len(x))
+    return float((sizes * each).sum() / len(x))
 
 
 def silhouette(x: np.ndarray, label: np.ndarray) -> float:

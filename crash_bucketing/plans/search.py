@@ -10,8 +10,8 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..operators.hierarchy import Hierarchy, persistence
-from ..operators.quality import bucket_count, validity
+from ..operators.hierarchy import Hierarchy, pair_distances, persistence
+from ..operators.quality import HELD, bucket_count, validity
 
 TOP, TOLERANCE = 10, 0.2
 
@@ -68,9 +68,10 @@ def every_partition(h: Hierarchy, root_mode: str = "mass") -> list[Run]:
 def assess(runs: list[Run], h: Hierarchy, x: np.ndarray) -> list[Run]:
     """Validity and persistence, once for each different partition."""
     known: dict[str, tuple[float, float]] = {}
+    dist = pair_distances(x, x) if len(x) <= HELD else None
     for r in runs:
         if r.digest not in known:
-            known[r.digest] = validity(x, r.label), persistence(h, r.selected)
+            known[r.digest] = validity(x, r.label, dist), persistence(h, r.selected)
         r.validity, r.persistence = known[r.digest]
     return runs
 
