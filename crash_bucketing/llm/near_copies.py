@@ -36,7 +36,7 @@ def _similar_pairs(similarity: float, size: int):
     return run
 
 
-def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5, planes: int = 3, radius: int = 4, every: int = 12) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5, planes: int = 3, radius: int = 4, every: int = 2) -> DataFrame:
     """The rows of docs, all columns, without those that have a like document with a smaller id in their group.
 
     Groups: connected documents of similarity 0.8 or more. Texts that agree after lower-casing A-Z and splitting into words are
