@@ -46,7 +46,8 @@ class HashProjectionEmbedder:
         self.name = name or f"projection-{dim}-{seed}"
 
     def tokens(self, text: str) -> Counter:
-        words = re.findall(r"[A-Za-z_][A-Za-z0-9_]*|[0-9a-fx]+", text)
+        # the running number of a frame says nothing: a deeper recursion shifts all numbers below it
+        words = re.findall(r"[A-Za-z_][A-Za-z0-9_]*|[0-9a-fx]+", re.sub(r"#\d+", "#", text))
         out = Counter(words)
         for g in self.grams:
             for w, n in Counter(words).items():
