@@ -6,6 +6,11 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+#: Types as objects: a type given as text needs a running session when the module is imported.
+VECTOR = T.ArrayType(T.DoubleType())
+LINE = T.StructType([T.StructField("pos", T.IntegerType()), T.StructField("line", T.StringType())])
 
 #: Scalar functions as SQL; each is expanded where it is called.
 SCALAR = {
@@ -16,7 +21,7 @@ SCALAR = {
 }
 
 
-@F.udtf(returnType="pos int, line string")
+@F.udtf(returnType=LINE)
 class SplitLines:
     """Lines of a text with their places."""
 
@@ -25,7 +30,7 @@ class SplitLines:
             yield i, line
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def hash_embed(texts: pd.Series) -> pd.Series:
     """Small offline vector of a text: 64 coordinates."""
     from ..operators.embed import MODELS
@@ -34,7 +39,7 @@ def hash_embed(texts: pd.Series) -> pd.Series:
     return pd.Series([model.vector(t or "", 64).tolist() for t in texts])
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def vec_mean(vectors: pd.Series) -> list:
     return np.mean(np.array(vectors.tolist(), dtype=np.float64), axis=0).tolist()
 
