@@ -22,7 +22,7 @@ BUCKETS = 1 << 15
 GRAMS = (3, 4)
 #: Fixed odd multiplier of the running hash, and of the spread over buckets.
 STEP, SPREAD = 0x5851F42D4C957F2D, 0x9E3779B97F4A7C15
-BLOCK_BYTES = 1 << 21
+BLOCK_BYTES = 1 << 18
 
 
 def _odd_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -168,7 +168,9 @@ def keep_good(docs: DataFrame, labels: DataFrame, max_rows: int = 1500, threshol
 
     @F.pandas_udf("boolean")
     def good(texts: pd.Series) -> pd.Series:
-        return pd.Series(scores([t.encode() if t else b"" for t in texts], *shared.value, _maker()) >= threshold)
+        # a few hundred texts at a time: the encoded copies of a whole batch are never held at once
+        parts = [scores([t.encode() if t else b"" for t in texts.iloc[a : a + 256]], *shared.value, _maker()) for a in range(0, len(texts), 256)]
+        return pd.Series(np.concatenate(parts) >= threshold if parts else np.zeros(0, dtype=bool))
 
     return docs.where(good(F.col("text").cast("string")))
 
