@@ -1,9 +1,11 @@
-"""One document of each group of near copies: SimHash candidates, exact verification.
+"""One document of each group of near copies: an exact similarity join on word shingles.
 
-A pair at Jaccard similarity 0.8 over five-word shingles differs in some ten bits of a fingerprint over these shingles, far
-outside a ball of four bits, since each changed word spoils five shingles. The candidate search therefore takes fingerprints over the
-set of single words, where the same pair differs in about four bits, in several independent planes (seeds), each searched by the
-ball hashing of `simhash`. Every candidate is then verified by the exact similarity of the five-word shingle sets.
+Two sets of similarity t or more share an element among the first |x| - ceil(t |x|) + 1 of each, in any order that is the same for all
+sets (prefix filter). Every text is therefore listed under these of its five-word shingles, and the texts of a list are candidates.
+The order puts shingles that are common in a sample last, so that a line that many texts share heads few lists; the sample bears on
+the cost alone, never on the result. Candidates are verified by the exact similarity. In each list some texts at a time are compared
+with all others that are not yet in their group; a list is left when all its texts are in one group or every two of different groups
+have been compared. So the groups are those of all pairs, and a large family costs a few comparisons a text.
 """
 
 from __future__ import annotations
@@ -17,7 +19,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import as_bytes, components, cut
-from .simhash import fingerprint_rows, links, word_shingles
+from .simhash import SEED, word_shingles
+
+#: Texts of a list that are compared with the others in the first round; each later round takes so many times more.
+PIVOTS = 8
+#: Texts looked at for common shingles, and the most shingles kept of them (both only order the lists).
+SAMPLE, COMMON = 10_000, 50_000
+SLACK = 1e-9
 
 
 def shingle_similarity(a: bytes, b: bytes, size: int = 5) -> float:
@@ -28,15 +36,161 @@ def shingle_similarity(a: bytes, b: bytes, size: int = 5) -> float:
 
 def _similar_pairs(similarity: float, size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, x = None, set()
         for batch in batches:
-            pairs = zip(as_bytes(batch.column("ta")), as_bytes(batch.column("tb")), strict=True)
-            keep = pa.array([shingle_similarity(a, b, size) >= similarity for a, b in pairs], pa.bool_())
+            keep = []
+            for a, b in zip(as_bytes(batch.column("ta")), as_bytes(batch.column("tb")), strict=True):
+                if a != last:  # rows of one text follow each other
+                    last, x = a, set(word_shingles(a, size))
+                y = set(word_shingles(b, size))
+                both = len(x & y)
+                keep.append(both >= similarity * (len(x) + len(y) - both) - SLACK)
+            keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep)], names=["a", "b"])
 
     return run
 
 
-def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5, planes: int = 3, radius: int = 4, every: int = 2) -> DataFrame:
+def shingle_keys(text: bytes, size: int) -> np.ndarray:
+    """The different XXH64 values of the word shingles, ascending."""
+    digest, shingles = xxhash.xxh64_intdigest, word_shingles(text, size)
+    return np.unique(np.fromiter((digest(s, SEED) for s in shingles), dtype=np.uint64, count=len(shingles)))
+
+
+def prefix(keys: np.ndarray, similarity: float, common: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """The keys, by (count where common, key), of which any set of this similarity has one in its own prefix."""
+    if len(common) and len(keys):
+        at = np.minimum(np.searchsorted(common, keys), len(common) - 1)
+        keys = keys[np.argsort(np.where(common[at] == keys, counts[at], 0), kind="stable")]
+    return keys[: max(0, len(keys) - int(np.ceil(similarity * len(keys) - SLACK)) + 1)]
+
+
+def _long(values: np.ndarray) -> pa.Array:
+    return pa.array(values.astype(np.uint64).view(np.int64))
+
+
+def _packed(rows: Iterator[tuple[np.ndarray, ...]], least: int = 1 << 16) -> Iterator[list[np.ndarray]]:
+    """Columns of many small tables put together to tables of `least` rows or little more."""
+    some, n = [], 0
+    for row in rows:
+        some.append(row)
+        n += len(row[0])
+        if n >= least:
+            yield [np.concatenate(c) for c in zip(*some, strict=True)]
+            some, n = [], 0
+    if some:
+        yield [np.concatenate(c) for c in zip(*some, strict=True)]
+
+
+def common_shingles(classes: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """(keys ascending, counts) of shingles that three or more sampled texts share."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for some in _packed((shingle_keys(text or b"", size),) for text in as_bytes(batch.column("text"))):
+                yield pa.RecordBatch.from_arrays([_long(some[0])], names=["key"])
+
+    step = max(1, classes.count() // SAMPLE)
+    some = classes.where(F.pmod("doc_id", F.lit(step)) == 0).select("text").mapInArrow(run, "key long")
+    got = some.groupBy("key").agg(F.count("*").alias("n")).where("n >= 3").orderBy(F.desc("n"), "key").limit(COMMON).toArrow()
+    keys, counts = (got.column(c).to_numpy().astype(np.int64) for c in ("key", "n"))
+    order = np.argsort(keys.view(np.uint64))
+    return keys.view(np.uint64)[order], counts[order]
+
+
+def _listed(similarity: float, size: int, common: np.ndarray, counts: np.ndarray):
+    """(key, id, size, pos): a row for each key of a text's prefix; size of its set, place of the key in it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def rows(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, ...]]:
+            for i, text in zip(batch.column("doc_id").to_pylist(), as_bytes(batch.column("text")), strict=True):
+                keys = shingle_keys(text or b"", size)
+                some = prefix(keys, similarity, common, counts)
+                n = len(some)
+                yield some, np.full(n, i, np.int64), np.full(n, len(keys), np.int32), np.arange(n, dtype=np.int32)
+
+        for batch in batches:
+            for key, *more in _packed(rows(batch)):
+                yield pa.RecordBatch.from_arrays([_long(key), *map(pa.array, more)], names=["key", "id", "size", "pos"])
+
+    return run
+
+
+def _compare(similarity: float, pivots: int):
+    """Streams (key, id, size, pos, comp) sorted by key and id; gives pairs (a, b) of the first `pivots` of each key with those after them, and as
+    `rest` the rows (key, id, size, pos) that are still to be compared with each other."""
+
+    def groups(key: np.ndarray, id: np.ndarray, size: np.ndarray, pos: np.ndarray, comp: np.ndarray) -> Iterator[pa.RecordBatch]:
+        def rows(a: np.ndarray, b: np.ndarray, s: np.ndarray, p: np.ndarray, rest: bool) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(s.astype(np.int32)), pa.array(p.astype(np.int32)), pa.array(np.full(len(a), rest))], names=["a", "b", "size", "pos", "rest"])
+
+        first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        number = np.diff(np.r_[first, len(key)])
+        # texts in different groups, or nothing is to be done
+        open_ = np.repeat(np.minimum.reduceat(comp, first) != np.maximum.reduceat(comp, first), number)
+        start, many = np.repeat(first, number), np.repeat(number, number)
+        rank = np.arange(len(key)) - start
+        later = np.flatnonzero(open_ & (rank > 0))
+        for q in range(pivots):
+            later = later[rank[later] > q]
+            if not len(later):
+                break
+            at = start[later] + q
+            x, y = size[at], size[later]
+            # the first key that two sets share leaves at most the rest of the shorter tail to share
+            ok = (comp[at] != comp[later]) & (np.minimum(x, y) >= similarity * np.maximum(x, y) - SLACK)
+            ok &= np.minimum(x - pos[at], y - pos[later]) >= similarity / (1 + similarity) * (x + y) - SLACK
+            if ok.any():
+                yield rows(id[at[ok]], id[later[ok]], x[ok], pos[at[ok]], False)
+        left = open_ & (rank >= pivots) & (many - pivots >= 2)
+        if left.any():
+            yield rows(key[left], id[left], size[left], pos[left], True)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, kept = ("key", "id", "size", "pos", "comp"), []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            new = [batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in names]
+            if kept and kept[-1][0][-1] == new[0][-1]:  # one key goes on
+                kept.append(new)
+                continue
+            # the last key may go on in the next batch
+            end = int(np.searchsorted(new[0], new[0][-1], side="left"))
+            whole = [np.concatenate(c) for c in zip(*kept, [c[:end] for c in new], strict=True)]
+            kept = [[c[end:] for c in new]]
+            if len(whole[0]):
+                yield from groups(*whole)
+        if kept:
+            yield from groups(*[np.concatenate(c) for c in zip(*kept, strict=True)])
+
+    return run
+
+
+def similar_groups(classes: DataFrame, similarity: float, size: int) -> DataFrame:
+    """(id, component) of the graph of all pairs of texts of this similarity. classes: (doc_id long, text), no id twice."""
+    n = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    texts = classes.select(F.col("doc_id").alias("id"), "text")
+    ids = texts.select("id")
+    lists = classes.select("doc_id", "text").mapInArrow(_listed(similarity, size, *common_shingles(classes, size)), "key long, id long, size int, pos int").withColumn("comp", F.col("id"))
+    pivots, true, tried = PIVOTS, None, None
+    while True:
+        got = cut(lists.repartition(n, "key").sortWithinPartitions("key", "id").mapInArrow(_compare(similarity, pivots), "a long, b long, size int, pos int, rest boolean"), "lists")
+        pairs = got.where("not rest").select("a", "b").distinct()
+        pairs = cut(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "candidates")
+        tried = pairs if tried is None else tried.union(pairs)
+        both = pairs.join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a")
+        found = cut(both.select("a", "b", "ta", "tb").mapInArrow(_similar_pairs(similarity, size), "a long, b long"), "pairs")
+        true = found if true is None else true.union(found)
+        groups = cut(components(ids, true), "groups")
+        rest = got.where("rest")
+        if rest.isEmpty():
+            return groups
+        lists = rest.select(F.col("a").alias("key"), F.col("b").alias("id"), "size", "pos").join(groups.withColumnRenamed("component", "comp"), "id").select("key", "id", "size", "pos", "comp")
+        pivots *= PIVOTS
+
+
+def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5) -> DataFrame:
     """The rows of docs, all columns, without those that have a like document with a smaller id in their group.
 
     Groups: connected documents of similarity 0.8 or more. Texts that agree after lower-casing A-Z and splitting into words are
@@ -48,23 +202,7 @@ def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: in
     # one text for each class of equal word sequences; the id of a class is its key
     classes = keyed.groupBy("_key").agg(F.min("_norm").alias("text"), F.min("doc_id").alias("least"))
     classes = cut(classes.select(F.col("_key").alias("doc_id"), "text", "least"), "classes")
-    seeds = tuple(42 + 1000 * p for p in range(planes))
-    prints = cut(fingerprint_rows(classes, 1, distinct=True, seeds=seeds), "planes")
-    found = None
-    for p in range(planes):
-        fp = F.col(f"fp{p}")
-        nodes = prints.groupBy(fp.alias("fp")).agg(F.min("doc_id").alias("least"))
-        near = links(nodes.select("fp"), radius, every=every)
-        # classes with the same fingerprint are tied to the least of them; linked fingerprints through their least classes
-        same = prints.join(nodes, fp == nodes.fp).where("doc_id <> least").select(F.col("doc_id").alias("a"), F.col("least").alias("b"))
-        x, y = nodes.select(F.col("fp").alias("a"), F.col("least").alias("la")), nodes.select(F.col("fp").alias("b"), F.col("least").alias("lb"))
-        across = near.join(x, "a").join(y, "b").select(F.col("la").alias("a"), F.col("lb").alias("b"))
-        found = same.union(across) if found is None else found.union(same).union(across)
-    pairs = cut(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "candidates")
-    texts = classes.select(F.col("doc_id").alias("id"), "text")
-    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b")
-    true = cut(both.select("a", "b", "ta", "tb").mapInArrow(_similar_pairs(similarity, shingle_words), "a long, b long"), "pairs")
-    groups = cut(components(classes.select(F.col("doc_id").alias("id")), true), "groups")
+    groups = similar_groups(classes, similarity, shingle_words)
     best = groups.join(classes.select(F.col("doc_id").alias("id"), "least"), "id")
     keepers = best.groupBy("component").agg(F.min(F.struct(F.col("least").isNull(), "least", "id")).alias("k")).select(F.col("k.id").alias("_key"), F.col("k.least").alias("_least"))
     # of the rows of the keeping class, the one with the least id; rows repeated with that id are one document
