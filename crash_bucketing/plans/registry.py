@@ -379,7 +379,7 @@ def b1_search(spark, sf_dir):
 
 @query("b2_kmeans")
 def b2(spark, sf_dir):
-    return base.kmeans_search(wl.vectors_of(spark, sf_dir), k_max=12)
+    return base.kmeans_search(wl.vectors_of(spark, sf_dir))
 
 
 @query("b4_stack_hash", f"with {HASH_SQL} select target, crash_id, bucket from assign")

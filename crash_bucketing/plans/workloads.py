@@ -62,7 +62,7 @@ def planted_scores(spark: SparkSession, sf_dir: str, config: str = "all", embedd
 def planted_clusterer(spark: SparkSession, sf_dir: str, method: str) -> DataFrame:
     """Scores of another clustering of the same points."""
     points, members = planted_points(spark, sf_dir)
-    run = {"dbscan": lambda p: base.dbscan_search(p), "kmeans": lambda p: base.kmeans_search(p, k_max=30)}[method]
+    run = {"dbscan": lambda p: base.dbscan_search(p), "kmeans": lambda p: base.kmeans_search(p)}[method]
     return ms.score(expand(run(points), members), planted_truth(spark, sf_dir))
 
 
