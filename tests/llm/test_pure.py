@@ -71,27 +71,65 @@ def test_licence_phrases(ws):
     assert licences.base_places([w.encode() for w in ws]) == want
 
 
-@given(st.lists(st.lists(st.sampled_from("abc"), min_size=1, max_size=8), min_size=1, max_size=3), st.lists(st.sampled_from("abcd"), max_size=25))
-@settings(max_examples=80, deadline=None)
-def test_matching_runs_are_the_longest(templates, text):
+@given(st.lists(st.lists(st.sampled_from("abc"), min_size=1, max_size=8), min_size=1, max_size=4), st.lists(st.sampled_from("abcd"), max_size=25), st.integers(1, 3))
+@settings(max_examples=200, deadline=None)
+def test_matches_are_all_maximal_common_runs(templates, text, least):
     auto = licences.SuffixAutomaton()
     for i, t in enumerate(templates):
         auto.add([x.encode() for x in t], i)
-    held = {tuple(t[i:j]) for t in templates for i in range(len(t)) for j in range(i + 1, len(t) + 1)}
-    longest = lambda j: max((j - i for i in range(j) if tuple(text[i:j]) in held), default=0)
-    stats = [longest(j) for j in range(1, len(text) + 1)]
-    want = [(j - n + 1, n) for j, n in enumerate(stats) if n and (j + 1 == len(stats) or stats[j + 1] != n + 1)]
-    got = auto.runs([x.encode() for x in text], 1)
-    assert [(s, n) for s, n, _ in got] == want
-    for s, n, state in got:
-        for t, place in auto.ends[state].items():
-            assert templates[t][place - n + 1 : place + 1] == text[s : s + n]
+    auto.close(least)
+    same = lambda i, t, p: 0 <= i < len(text) and 0 <= p < len(t) and text[i] == t[p]
+    want = set()
+    for k, t in enumerate(templates):
+        for i in range(len(text)):
+            for p in range(len(t)):
+                n = 0
+                while same(i - n, t, p - n):
+                    n += 1
+                if n >= least and not same(i + 1, t, p + 1):
+                    want.add((k, i - n + 1, n, p))
+    got = [(k, *m) for k, some in auto.matches([x.encode() for x in text], least).items() for m in some]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_every_run_of_every_template_names_its_template():
+    s = licences.LicenceScanner()
+    for k, (_, text) in enumerate(licences.TEMPLATES):
+        words = licences.words_of(text.encode())
+        for i in range(len(words) - 2):
+            assert (0, 3, i + 2) in s.auto.matches(words[i : i + 3], 3)[k]
+    few = licences.LicenceScanner((("one", "a b c d"), ("two", "b c e")), min_run=2)
+    assert set(few.auto.matches([b"x", b"b", b"c", b"y"], 2)) == {0, 1}
+
+
+@given(st.lists(st.tuples(st.integers(0, 14), st.integers(1, 5), st.integers(0, 12)), min_size=1, max_size=7, unique=True), st.integers(0, 4))
+@settings(max_examples=150, deadline=None)
+def test_chains_cover_most(matches, gap):
+    matches = sorted(((s, n, max(p, n - 1)) for s, n, p in matches), key=lambda m: m[0] + m[1])
+
+    def longest(i):  # over all chains that end with match i
+        s, n, p = matches[i]
+        out = [n]
+        for j in range(i):
+            a, m, q = matches[j]
+            fresh = min(n, s + n - a - m)
+            if a + m >= s - gap and fresh > 0 and q <= p - fresh:
+                out.append(longest(j) + fresh)
+        return max(out)
+
+    assert [c for c, _, _ in licences.chains(matches, gap)] == [longest(i) for i in range(len(matches))]
 
 
 def test_licence_notice_is_covered():
     s = licences.LicenceScanner()
-    notice = licences.TEMPLATES[0][1].encode().split()
-    assert s.spans([b"x"] * 5 + notice + [b"y"])[0][:2] == ("mit", 1.0)
+    for k, (label, text) in enumerate(licences.TEMPLATES):
+        notice = licences.words_of(text.encode())
+        assert (label, 1.0, 5, 4 + len(notice)) in s.spans([b"x"] * 5 + notice + [b"y"])
+        # two copies with other words between and one word changed inside are two finds
+        if len(notice) > 20:
+            bent = [*notice[:9], b"zzz", *notice[10:]]
+            twice = [x for x in s.spans([*bent, *[b"y"] * 30, *bent]) if x[0] == label and x[1] == (len(notice) - 1) / len(notice)]
+            assert [(f, z) for _, _, f, z in twice] == [(0, len(notice) - 1), (len(notice) + 30, 2 * len(notice) + 29)], k
     assert s.spans(b"one may of the or with to this is".split()) == []
 
 
