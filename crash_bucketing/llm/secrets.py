@@ -41,12 +41,13 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 
 _PLAIN = re.compile(r"[^\W\d_]+(?:['’-][^\W\d_]+)*[.,;:!?)\]\"']*", re.UNICODE)
 _WORD = re.compile(r"(password|passwd|pwd|secret|token|api[_-]?key|bearer|credential|authorization|private)", re.IGNORECASE | re.ASCII)
+_CASE = re.compile(r"[a-z](?=[A-Z])|[A-Z](?=[a-z])")
 _BODY = re.compile(r"^[\"'(<]*(.*?)[\"')>,;.]*$", re.DOTALL)
 
 
 def shape(token: str) -> tuple[str, ...]:
     """Names of the features of one token; the empty tuple for plain words."""
-    if _PLAIN.fullmatch(token) and len(token) < 24 and not _WORD.search(token):
+    if _PLAIN.fullmatch(token) and len(token) < 24 and not _WORD.search(token) and (len(token) < 12 or len(_CASE.findall(token)) < 3):
         return ()
     body = _BODY.match(token)[1]
     tail = re.split(r"[=:]", body)[-1] if re.search(r"[=:]", body) else body
@@ -64,11 +65,13 @@ def shape(token: str) -> tuple[str, ...]:
             counts = [tail.count(c) / n for c in set(tail)]
             out.append(f"entropy{int(-sum(p * math.log2(p) for p in counts))}")
             out += ["mixed"] if digits and lower and upper else ["digits_letters"] if digits and lower + upper else []
+    if len(_CASE.findall(tail)) >= 3:
+        out.append("case_changes")
     if re.fullmatch(r"[0-9a-f]{16,}", tail):
         out.append("hex")
     if re.match(r"(AKIA|ghp_|sk-|xox[bp]-|eyJ)", tail):
         out.append("known_prefix")
-    out += [x for x, on in (("all_digits", digits == n), ("at", "@" in body), ("url", "://" in body), ("dashes", body.startswith("-----")), ("letters", lower + upper == n)) if on]
+    out += [x for x, on in (("all_digits", digits == n), ("at", "@" in body), ("url", "://" in body), ("dashes", body.startswith("-----")), ("dashes_end", body.endswith("-----")), ("letters", lower + upper == n)) if on]
     return tuple(out)
 
 
@@ -135,7 +138,7 @@ class Crf:
 
     def _active(self, shapes: list, i: int, file: tuple[str, ...], grow: bool = False) -> list[int]:
         names = ["bias", *(f"own:{f}" for f in shapes[i] or ("plain",)), *(f"file:{f}" for f in file)]
-        names += [f"prev:{f}" for f in (shapes[i - 1] or ("plain",)) if f in ("key", "key_last", "sign_last", "only_sign", "plain", "dashes")] if i else ["prev:none"]
+        names += [f"prev:{f}" for f in (shapes[i - 1] or ("plain",)) if f in ("key", "key_last", "sign_last", "only_sign", "plain", "dashes", "dashes_end", "mixed", "length6")] if i else ["prev:none"]
         names += [f"next:{f}" for f in (shapes[i + 1] or ("plain",)) if f in ("plain", "dashes", "only_sign")] if i + 1 < len(shapes) else ["next:none"]
         return [self.index.setdefault(f, len(self.index)) for f in names] if grow else [self.index[f] for f in names if f in self.index]
 
@@ -202,7 +205,7 @@ def invented_lines(seed: int, n: int = 500, length: int = 20) -> tuple[list[list
         return (w.upper() if rng.random() < 0.1 else w.capitalize() if rng.random() < 0.15 else w) + rng.choice(["", "", "", "", ",", ".", "!!", "$$$", "***", "###", "%%%", "&&&", " |".strip()])
 
     def number() -> str:
-        return rng.choice([str(rng.randint(0, 10**rng.randint(1, 12))), f"{rng.randint(1, 255)}.{rng.randint(0, 255)}.{rng.randint(0, 255)}.{rng.randint(1, 255)}", f"{word().strip('.,!$*#%&|')}.{rng.randint(1, 99)}@mail{rng.randint(1, 9)}.example.com", f"https://example.com/{word()}/{rng.randint(1, 999)}", f"20{rng.randint(10, 29)}-{rng.randint(10, 12)}-{rng.randint(10, 28)}", f"+{rng.randint(1, 99)}-{rng.randint(100, 999)}-{rng.randint(1000, 9999)}", f"{word()}={rng.randint(1, 99)}", f"{word()}:", "=", "|", "" + "".join(rng.choice("0123456789") for _ in range(16)), "-".join(word().strip(".,!$*#%&|") for _ in range(4)), "".join(word().strip(".,!$*#%&|") for _ in range(5))])
+        return rng.choice([str(rng.randint(0, 10**rng.randint(1, 12))), f"{rng.randint(1, 255)}.{rng.randint(0, 255)}.{rng.randint(0, 255)}.{rng.randint(1, 255)}", f"{word().strip('.,!$*#%&|')}.{rng.randint(1, 99)}@mail{rng.randint(1, 9)}.example.com", f"https://example.com/{word()}/{rng.randint(1, 999)}", f"20{rng.randint(10, 29)}-{rng.randint(10, 12)}-{rng.randint(10, 28)}", f"+{rng.randint(1, 99)}-{rng.randint(100, 999)}-{rng.randint(1000, 9999)}", f"{word()}={rng.randint(1, 99)}", f"{word()}:", "=", "|", "" + "".join(rng.choice("0123456789") for _ in range(16)), "-".join(word().strip(".,!$*#%&|") for _ in range(4)), "".join(word().strip(".,!$*#%&|") for _ in range(5)), "-".join("".join(rng.choice("0123456789abcdef") for _ in range(k)) for k in (8, 4, 4, 4, 12)), "".join(rng.choice("0123456789abcdef") for _ in range(rng.randint(6, 10)))])
 
     def value() -> str:
         return rng.choice([lambda: "".join(rng.choice(base62 + "+/_-") for _ in range(rng.randint(16, 44))), lambda: "".join(rng.choice("0123456789abcdef") for _ in range(rng.choice([24, 32, 40, 64]))), lambda: "AKIA" + "".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567") for _ in range(16)), lambda: rng.choice(["ghp_", "sk-", "xoxb-"]) + "".join(rng.choice(base62) for _ in range(32))])()
@@ -220,9 +223,12 @@ def invented_lines(seed: int, n: int = 500, length: int = 20) -> tuple[list[list
             return [key + ":", v], [OUT, BEGIN]
         if kind < 0.7:
             return ["Authorization:", "Bearer", value()], [OUT, OUT, BEGIN]
-        if kind < 0.9:
+        if kind < 0.82:
             return [value()], [BEGIN]
-        body = ["".join(rng.choice(base62 + "+/") for _ in range(40)) for _ in range(rng.randint(1, 4))]
+        width = rng.choice([16, 24, 40, 64, 76])
+        letters = rng.choice([base62 + "+/", base62 + "+/", base62[:52]])
+        body = ["".join(rng.choice(letters) for _ in range(width)) for _ in range(rng.randint(1, 6))]
+        body[-1] = body[-1][: rng.randint(8, width)] + rng.choice(["", "=", "=="])
         return ["-----BEGIN", "PRIVATE", "KEY-----", *body, "-----END", "PRIVATE", "KEY-----"], [OUT] * 3 + [BEGIN] + [INSIDE] * (len(body) - 1) + [OUT] * 3
 
     lines, labels = [], []
@@ -244,6 +250,21 @@ def invented_lines(seed: int, n: int = 500, length: int = 20) -> tuple[list[list
 
 
 _TOKEN = re.compile(r"\S+")
+#: A part that a base span leaves over counts if it holds so many letters or digits; less is a quote or a bracket.
+LEFT_OVER = 4
+
+
+def outside(text: str, start: int, end: int, base: list[tuple[str, int, int]]) -> list[tuple[int, int]]:
+    """The parts of [start, end) that no base span covers, without blanks at their ends; the whole run where none meets it."""
+    out, at = [], start
+    for a, z in [*sorted((a, z) for _, a, z in base if a < end and start < z), (end, end)]:
+        if a > at:
+            part = text[at:a]
+            left, right = at + len(part) - len(part.lstrip()), a - len(part) + len(part.rstrip())
+            if (left, right) == (start, end) or sum(c.isalnum() for c in part) >= LEFT_OVER:
+                out.append((left, right))
+        at = max(at, z)
+    return out
 
 
 class SecretScanner:
@@ -252,7 +273,7 @@ class SecretScanner:
         self.shapes: dict[str, tuple] = {}
 
     def spans(self, text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:
-        """(base spans, all spans). A tagged run is added where it meets no base span."""
+        """(base spans, all spans). Of a tagged run, what lies outside all base spans is added, part by part."""
         base = base_spans(text)
         tokens, known = text.split(), self.shapes
         if len(known) > 300_000:
@@ -260,7 +281,7 @@ class SecretScanner:
         key = bool(_WORD.search(text))
         odd: dict[str, tuple] = {}
         for t in set(tokens):
-            if not key and len(t) < 24 and (t.isalpha() or t[:-1].isalpha() and t[-1] in ".,;:!?)]"):
+            if not key and len(t) < 24 and (t.isalpha() or t[:-1].isalpha() and t[-1] in ".,;:!?)]") and (len(t) < 12 or t.islower() or t.istitle()):
                 continue  # plain, as shape() would say
             s = known.get(t)
             if s is None:
@@ -274,9 +295,7 @@ class SecretScanner:
         if found:
             places = [m.span() for m in _TOKEN.finditer(text)]
             for first, last in found:
-                start, end = places[first][0], places[last][1]
-                if not any(a < end and start < z for _, a, z in base):
-                    more.append(("crf", start, end))
+                more += [("crf", a, z) for a, z in outside(text, places[first][0], places[last][1], base)]
         return base, sorted(base + more, key=lambda s: (s[1], KINDS.index(s[0])))
 
 

@@ -1,10 +1,12 @@
 """Kernels of the corpus operators against plain versions, without Spark."""
 
+import itertools
 import random
 import re
 
 import numpy as np
 import public_tokenizers
+import pyarrow.parquet as pq
 import pytest
 import xxhash
 from hypothesis import given, settings
@@ -162,6 +164,56 @@ def test_crf_finds_secrets_of_unseen_lines(crf):
     assert hit / total > 0.85 and wrong / max(1, hit) < 0.2
 
 
+def test_viterbi_finds_the_best_of_all_labelings(crf):
+    lines, _ = secrets.invented_lines(seed=15, n=25, length=6)
+    for line in lines:
+        shapes, file = [secrets.shape(t) for t in line], secrets.file_features(" ".join(line))
+        scores = [crf.score(shapes[i - 1] if i else None, s, shapes[i + 1] if i + 1 < len(shapes) else None, file) for i, s in enumerate(shapes)]
+        value = lambda ys: sum(crf.trans[a, b] for a, b in zip((0, *ys), (*ys, 0), strict=True)) + sum(e[y] for e, y in zip(scores, ys, strict=True))  # noqa: B023, E731
+        assert value(crf.viterbi(scores)) == pytest.approx(max(map(value, itertools.product(range(3), repeat=len(scores)))))
+
+
+def planted_secret(rng):
+    """(text before, secret, text after) of a kind that the base patterns do not know."""
+    base62 = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    some = lambda n, of=base62: "".join(rng.choice(of) for _ in range(n))
+    width = rng.choice([16, 40, 64])
+    return rng.choice([
+        lambda: ("Authorization: Bearer ", some(rng.randint(24, 60)), ""),
+        lambda: ("", rng.choice(["ghp_", "sk-", "xoxb-"]) + some(rng.randint(24, 40)), ""),
+        lambda: ("pwd=", some(rng.randint(8, 12)) + "!" + some(6), ""),
+        lambda: ("secret key is ", some(rng.randint(24, 44), base62 + "+/"), ""),
+        lambda: ("-----BEGIN PRIVATE KEY-----\n", "\n".join(some(width, base62 + "+/") for _ in range(rng.randint(2, 6))), "\n-----END PRIVATE KEY-----"),
+    ])()
+
+
+def test_crf_finds_whole_secrets_planted_in_documents(crf):
+    """Secrets outside the base patterns in the given documents: held-out precision and recall of whole secrets."""
+    texts = [t for t in pq.read_table("/root/testdata/sf0.001/documents.parquet").column("text").to_pylist() if t]
+    scanner, rng, hit, spans, wrong = secrets.SecretScanner(crf), random.Random(31), 0, 0, 0
+    for text in texts:
+        before, secret, after = planted_secret(rng)
+        words = text.split(" ")
+        at = rng.randint(0, len(words))
+        head = " ".join([*words[:at], before])
+        a, z = len(head), len(head) + len(secret)
+        every = scanner.spans(" ".join([head + secret + after, *words[at:]]))[1]
+        covered = {i for _, p, q in every for i in range(p, q)}
+        hit += all(i in covered for i in range(a, z))
+        own = [(p, q) for kind, p, q in every if kind == "crf"]
+        spans, wrong = spans + len(own), wrong + sum(not (p < z and a < q) for p, q in own)
+    assert hit / len(texts) >= 0.95 and wrong / spans <= 0.02
+
+
+def test_a_tagged_run_gives_what_base_spans_leave_over(crf):
+    scanner = secrets.SecretScanner(crf)
+    found = lambda text: [(k, text[a:z]) for k, a, z in scanner.spans(text)[1]]
+    assert found("x password=abc123!Qr9xLmPq77Za y") == [("assign", "password=abc123"), ("crf", "!Qr9xLmPq77Za")]
+    assert found('x "token": "abcdef123" y') == [("assign", 'token": "abcdef123')]
+    body = "MIIEvQIBADANBgkq\nhkiG9w0BAQEFAASC"
+    assert found(f"x\n-----BEGIN PRIVATE KEY-----\n{body}\n-----END PRIVATE KEY-----\ny") == [("crf", body)]
+
+
 def test_viterbi_in_islands_is_viterbi_of_the_whole(crf):
     lines, _ = secrets.invented_lines(seed=5, n=40)
     for line in lines:
