@@ -46,6 +46,21 @@ def drop(df: DataFrame) -> None:
         p.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(p, True)
 
 
+def join_counted(rows: DataFrame, keyed: DataFrame, key: str, count: str, share: int = 1000) -> DataFrame:
+    """Inner join of rows with a table of one row per key that tells in `count` how many rows have it; the count goes.
+
+    Keys that more than one row in `share` has are at most `share` many: they are a bounded broadcast, and their rows are not shuffled. All
+    others are joined by a shuffle in which no key weighs more than that. `rows` is read twice, so it should be a written table. No null keys.
+    """
+    total = keyed.agg(F.sum(count)).first()[0] or 0
+    hot = keyed.where(F.col(count) * share > total)
+    if hot.isEmpty():
+        return rows.join(keyed.drop(count), key)
+    out = rows.join(F.broadcast(hot.drop(count)), key)
+    cold = rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(keyed.where(F.col(count) * share <= total).drop(count), key)
+    return out.unionByName(cold)
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z and nothing else."""
     return F.translate(text, UPPER, UPPER.lower())

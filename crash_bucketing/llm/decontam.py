@@ -3,7 +3,8 @@
 A test item of m characters may occur with up to k = floor(max_error_rate * m) edits. Cut into k + 1 pieces, at least one
 piece must occur unchanged, so an Aho-Corasick automaton over all pieces finds every candidate place in one pass over
 the whole text. Each candidate is verified by the bit-parallel edit distance of Myers over a window of the item's length
-plus k on both sides, with the item free to start anywhere in it.
+plus k on both sides, with the item free to start anywhere in it. Items and texts have a blank on both ends, so an item matches whole words:
+one that begins or ends inside a word costs an edit for each such end.
 """
 
 from __future__ import annotations
@@ -22,8 +23,9 @@ _GAPS = re.compile(r"[\W_]+")
 
 
 def normalise(text: str | None) -> str:
-    """Lower case, every run of other than letters and digits one space."""
-    return _GAPS.sub(" ", (text or "").lower()).strip()
+    """Lower case, every run of other than letters and digits one space; a space at both ends, unless nothing is left."""
+    words = _GAPS.sub(" ", (text or "").lower()).strip()
+    return f" {words} " if words else ""
 
 
 def pieces(item: str, errors: int) -> list[tuple[int, str]]:
@@ -69,7 +71,7 @@ class Matcher:
     """Automaton over the pieces of a block of items."""
 
     def __init__(self, items: list[tuple[int, str]], max_error_rate: float):
-        self.items = [(i, t, int(len(t) * max_error_rate), masks(t)) for i, t in items if t]
+        self.items = [(i, t, int((len(t) - 2) * max_error_rate), masks(t)) for i, t in items if t]
         self.auto = ahocorasick.Automaton()
         at: dict[str, list[tuple[int, int]]] = {}
         for n, (_, t, k, _) in enumerate(self.items):
@@ -82,7 +84,7 @@ class Matcher:
         self.empty = not at
 
     def find(self, text: str) -> list[tuple[int, int, int, int]]:
-        """(item_id, edits, start estimate, end) of the best place of each item that occurs in a normalised text."""
+        """(item_id, edits, start estimate, end) of the best place of each item that occurs in a normalised text, blanks at both ends included."""
         if self.empty or not text:
             return []
         best: dict[int, tuple[int, int, int]] = {}
@@ -110,18 +112,19 @@ class Matcher:
 _BUILT: dict[int, Matcher] = {}
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, max_error_rate: float = 0.05, block_items: int = 20_000) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, max_error_rate: float = 0.05, block_items: int = 20_000, block_bytes: int = 1 << 24) -> DataFrame:
     """(doc_id, text_hash, item_id, edits, start, end): each document and test item that it holds, with the best place.
 
     Both sides are compared after `normalise`, whole texts only; start and end count characters of the normalised text. The benchmark goes
-    through in blocks of `block_items` items, each a bounded broadcast, so it may be of any size. Null or empty texts and items
+    through in blocks of some `block_items` items and `block_bytes` bytes, each a bounded broadcast, so it may be of any size. An item matches whole words. Null or empty texts and items
     match nothing; an item shorter than 1 / max_error_rate must occur unchanged; repeated rows give repeated results;
     empty tables give an empty result. text_hash is xxhash64 of the text (null as empty) and tells rows with one id apart.
     """
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"))
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))
-    blocks = max(1, -(-items.count() // block_items))
+    held = items.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()
+    blocks = max(1, -(-held["n"] // block_items), -(-held["b"] // block_bytes))
     schema = "doc_id long, text_hash long, item_id long, edits int, start long, end long"
     out = None
     for b in range(blocks):

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, ascii_lower, cut, id_text
+from .common import as_bytes, ascii_lower, cut, drop, id_text, join_counted
 
 #: The four largest primes below 2^31, a base below them all, bytes per chunk, chunks per block.
 PRIMES = np.array([2147483647, 2147483629, 2147483587, 2147483579], dtype=np.int64)
@@ -100,10 +100,16 @@ def _row(df: DataFrame) -> DataFrame:
     return df.withColumn("row", F.coalesce("doc_id", F.lit(-1)))
 
 
-def unequal_rows(docs: DataFrame, groups: DataFrame, marks: DataFrame, segment_chars: int, broadcast_rows: int) -> DataFrame:
-    """Rows whose text differs from their group's representative although the marks agree: (row, text_sha256)."""
-    many = groups.where("n > 1").select("mark", "keep_id", "rep_sha")
-    rows = _row(marks.join(many, "mark")).select("row", "text_sha256", "mark", ((F.col("doc_id").eqNullSafe(F.col("keep_id"))) & (F.col("text_sha256") == F.col("rep_sha"))).alias("rep")).distinct()
+def unequal_rows(docs: DataFrame, groups: DataFrame, marks: DataFrame, segment_chars: int, broadcast_rows: int, salted_rows: int = 1000) -> DataFrame:
+    """Rows whose text differs from their group's representative although the marks agree: (row, text_sha256).
+
+    Texts are compared segment by segment. The segments of a group's copies are dealt over one salt for each `salted_rows` copies, and those of its
+    representative are repeated for each salt, so that no task gets a large group whole.
+    """
+    many = groups.where("n > 1").select("mark", "keep_id", "rep_sha", "n")
+    salts = F.ceil(F.col("n") / salted_rows).cast("int")
+    rows = _row(join_counted(marks, many.withColumn("size", F.col("n")), "mark", "size"))
+    rows = rows.select("row", "text_sha256", "mark", salts.alias("salts"), ((F.col("doc_id").eqNullSafe(F.col("keep_id"))) & (F.col("text_sha256") == F.col("rep_sha"))).alias("rep")).distinct()
     rows = cut(rows, "copies")
     text = _row(id_text(docs)).select("row", F.coalesce("text", F.lit("")).alias("text"))
     ids = rows.select("row").distinct()
@@ -111,12 +117,13 @@ def unequal_rows(docs: DataFrame, groups: DataFrame, marks: DataFrame, segment_c
     text = text.join(F.broadcast(ids) if rows.count() <= broadcast_rows else ids, "row", "left_semi")
     text = text.select("row", ascii_lower(F.col("text")).alias("norm")).withColumn("text_sha256", F.sha2("norm", 256)).dropDuplicates(["row", "text_sha256"])
     parts = text.join(rows, ["row", "text_sha256"]).select(
-        "mark", "row", "text_sha256", "rep",
+        "mark", "row", "text_sha256", "rep", "salts",
         F.posexplode(F.transform(F.sequence(F.lit(0), F.floor((F.greatest(F.length("norm"), F.lit(1)) - 1) / segment_chars).cast("int")), lambda i: F.substring("norm", i * segment_chars + 1, segment_chars))).alias("pos", "part"),
     )
-    own = parts.where("rep").select("mark", "pos", F.col("part").alias("rep_part"))
+    own = parts.where("rep").select("mark", "pos", F.col("part").alias("rep_part"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+    copies = parts.where("not rep").withColumn("salt", F.pmod(F.xxhash64("row"), F.col("salts")).cast("int"))
     # the mark holds the length, so a text that agrees in all its segments has no more and no fewer than the representative
-    return parts.where("not rep").join(own, ["mark", "pos"], "left").groupBy("row", "text_sha256").agg(F.min(F.coalesce(F.col("part") == F.col("rep_part"), F.lit(False))).alias("equal")).where("not equal").select("row", "text_sha256")
+    return copies.join(own, ["mark", "pos", "salt"], "left").groupBy("row", "text_sha256").agg(F.min(F.coalesce(F.col("part") == F.col("rep_part"), F.lit(False))).alias("equal")).where("not equal").select("row", "text_sha256")
 
 
 def exact_duplicates(docs: DataFrame, segment_chars: int = 1 << 20, broadcast_rows: int = 500_000) -> DataFrame:
@@ -134,10 +141,10 @@ def exact_duplicates(docs: DataFrame, segment_chars: int = 1 << 20, broadcast_ro
     groups = cut(groups, "groups")
     odd = cut(unequal_rows(docs, groups, marks, segment_chars, broadcast_rows), "unequal")
     if odd.isEmpty():
-        best = groups.select("mark", "keep_id", F.col("n").alias("group_size"))
-        out = marks.join(best, "mark")
+        out = join_counted(marks, groups.select("mark", "keep_id", F.col("n").alias("group_size"), "n"), "mark", "n")
     else:
         keyed = _row(marks).join(odd.withColumn("odd", F.lit(True)), ["row", "text_sha256"], "left").withColumn("key", F.when(F.col("odd"), F.col("text_sha256")).otherwise(F.lit("")))
-        best = keyed.groupBy("mark", "key").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
-        out = keyed.join(best, ["mark", "key"])
+        keyed = cut(keyed.withColumn("own", F.concat("mark", F.encode("key", "utf-8"))), "keyed")
+        best = keyed.groupBy("own").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size")).withColumn("n", F.col("group_size"))
+        out = join_counted(keyed, best, "own", "n")
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256", "n_bytes")

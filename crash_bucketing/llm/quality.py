@@ -128,18 +128,35 @@ def scores(texts: list[bytes], table: np.ndarray, bias: float, maker: Features)
     return 1 / (1 + np.exp(-np.clip(out + bias, -60, 60)))
 
 
-def fit_quality(docs: DataFrame, labels: DataFrame, max_rows: int = 1500) -> tuple[np.ndarray, float]:
-    """Fit on at most `max_rows` labelled rows that are not held out, half of each label where there are as many."""
-    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where(F.col("quality").isin(0, 1) & ~held_out(F.col("doc_id"))).withColumn("h", F.xxhash64("doc_id"))
+def fit_quality(docs: DataFrame, labels: DataFrame, max_rows: int = 1500, max_bytes: int = 1 << 26) -> tuple[np.ndarray, float]:
+    """Fit on at most `max_rows` labelled rows that are not held out, half of each label where there are as many, and at most `max_bytes` of text.
+
+    The least hashes of each label are taken. Of rows that repeat an id the least text counts. Texts go whole or not at all: first the
+    lengths are read, and a text that does not fit into what is left of the bytes is passed over.
+    """
+    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where(F.col("quality").isin(0, 1) & ~held_out(F.col("doc_id"))).distinct().withColumn("h", F.xxhash64("doc_id"))
     # the least hashes of each label: a bounded list of ids, then their texts
-    picked = [r for q in (0, 1) for r in marks.where(F.col("quality") == q).orderBy("h", "doc_id").limit(max_rows // 2).select("doc_id", "quality").collect()]
+    picked = [r for q in (0, 1) for r in marks.where(F.col("quality") == q).orderBy("h", "doc_id").limit(max_rows // 2).select("h", "doc_id", "quality").collect()]
     if not picked:
         return SubwordClassifier().reduced()
-    ids = docs.sparkSession.createDataFrame([(r["doc_id"], r["quality"]) for r in picked], "doc_id long, quality int")
-    rows = id_text(docs).join(F.broadcast(ids), "doc_id").where("text is not null").collect()  # at most max_rows ids
-    rows.sort(key=lambda r: (r["doc_id"], r["text"]))
+
+    def texts(some) -> DataFrame:  # of at most max_rows ids
+        ids = docs.sparkSession.createDataFrame([(i,) for i in some], "doc_id long")
+        return id_text(docs).where("text is not null").join(F.broadcast(ids), "doc_id").withColumn("digest", F.sha2("text", 256))
+
+    sizes = {r["doc_id"]: (r["x"]["digest"], r["x"]["n"]) for r in texts({r["doc_id"] for r in picked}).groupBy("doc_id").agg(F.min(F.struct("digest", F.octet_length("text").alias("n"))).alias("x")).collect()}
+    left, chosen = max_bytes, {}
+    for r in sorted(picked, key=lambda r: (r["h"], r["doc_id"])):
+        if r["doc_id"] in sizes and (r["doc_id"] in chosen or sizes[r["doc_id"]][1] <= left):
+            left -= 0 if r["doc_id"] in chosen else sizes[r["doc_id"]][1]
+            chosen[r["doc_id"]] = sizes[r["doc_id"]][0]
+    if not chosen:
+        return SubwordClassifier().reduced()
+    rows = texts(chosen).dropDuplicates(["doc_id", "digest"]).where(F.concat_ws(":", "doc_id", "digest").isin([f"{i}:{d}" for i, d in chosen.items()]))
+    known = {r["doc_id"]: r["text"].encode() for r in rows.select("doc_id", "text").collect()}
+    sample = sorted((r["doc_id"], r["quality"]) for r in picked if r["doc_id"] in known)
     model = SubwordClassifier()
-    model.fit([r["text"].encode() for r in rows], [r["quality"] for r in rows])
+    model.fit([known[i] for i, _ in sample], [q for _, q in sample])
     return model.reduced()
 
 

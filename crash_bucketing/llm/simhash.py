@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut, id_text
+from .common import as_bytes, components, cut, drop, id_text, join_counted
 
 SEED = 42
 #: Above so many different fingerprints on one partial key, the whole-fingerprint variants take over.
@@ -158,26 +158,37 @@ def _links(radius: int, crowd: int, every: int):
                 yield some[i[:, 0]], some[i[:, 1]], False
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, fps = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64)
-        last = False
-        batches = iter(batches)
-        while not last:
-            batch = next(batches, None)
-            last = batch is None
-            if batch is not None:
-                keys = np.r_[keys, batch.column("key").to_numpy(zero_copy_only=False)]
-                fps = np.r_[fps, batch.column("fp").to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)]
-                # the last key may go on in the next batch
-                end = int(np.searchsorted(keys, keys[-1], side="left")) if len(keys) else 0
-            else:
-                end = len(keys)
-            if end:
-                parts = list(groups(keys[:end], fps[:end]))
-                a, b = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+        def out(parts: list[tuple[np.ndarray, np.ndarray, bool]]) -> Iterator[pa.RecordBatch]:
+            a, b = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+            if len(a):
                 crowded = np.concatenate([np.full(len(p[0]), p[2]) for p in parts])
-                keys, fps = keys[end:], fps[end:]
-                if len(a):
-                    yield pa.RecordBatch.from_arrays([_signed(a), _signed(b), pa.array(crowded, pa.bool_())], names=["a", "b", "crowded"])
+                yield pa.RecordBatch.from_arrays([_signed(a), _signed(b), pa.array(crowded, pa.bool_())], names=["a", "b", "crowded"])
+
+        # the last key of a batch may go on in the next; `held` has its fingerprints, `over` says that they are already known to be a crowd
+        key, held, over = None, np.empty(0, dtype=np.uint64), False
+        for batch in batches:
+            keys = batch.column("key").to_numpy(zero_copy_only=False)
+            fps = batch.column("fp").to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
+            if not len(keys):
+                continue
+            first = int(np.searchsorted(keys, key, side="right")) if key is not None else 0
+            last = int(np.searchsorted(keys, keys[-1], side="left"))
+            if key is not None:
+                held = np.unique(np.r_[held, fps[:first]])
+                if over or len(held) > crowd:
+                    yield from out([(held, held, True)])
+                    held, over = held[:0], True
+                if first == len(keys):
+                    continue
+                if len(held):
+                    yield from out(list(groups(np.zeros(len(held), dtype=np.int64), held)))
+            if last > first:
+                yield from out(list(groups(keys[first:last], fps[first:last])))
+            key, held, over = keys[-1], np.unique(fps[last:]), False
+        if over:
+            yield from out([(held, held, True)])
+        elif len(held):
+            yield from out(list(groups(np.zeros(len(held), dtype=np.int64), held)))
 
     return run
 
@@ -211,11 +222,12 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 4, radius: int = 4, pa
     unless all ids of a component are null. An empty table gives an empty result.
     """
     rows = cut(fingerprint_rows(docs, shingle_words), "fingerprints")
-    nodes = cut(rows.groupBy(F.col("fp0").alias("fp")).agg(F.min("doc_id").alias("id")), "nodes")
+    nodes = cut(rows.groupBy(F.col("fp0").alias("fp")).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "nodes")
     pairs = links(nodes.select("fp"), radius, parts, crowd)
     # nodes carry the fingerprint as their name; the smallest document follows by component
     comp = cut(components(nodes.select(F.col("fp").alias("id")), pairs).select(F.col("id").alias("fp"), "component"), "components")
-    named = comp.join(nodes, "fp")
-    least = named.groupBy("component").agg(F.min("id").alias("component_id"))
-    named = named.join(least, "component").select("fp", "component_id")
-    return rows.join(named, rows.fp0 == named.fp).select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
+    named = cut(comp.join(nodes, "fp"), "named")
+    drop(comp)
+    least = cut(named.groupBy("component").agg(F.min("id").alias("component_id"), F.count("*").alias("size")), "least")
+    named = cut(join_counted(named, least, "component", "size").select(F.col("fp").alias("fp0"), "component_id", "n"), "named")
+    return join_counted(rows, named, "fp0", "n").select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
