@@ -1,11 +1,13 @@
-"""One document of each group of near copies: an exact similarity join on word shingles.
-
-Two sets of similarity t or more share an element among the first |x| - ceil(t |x|) + 1 of each, in any order that is the same for all
-sets (prefix filter). Every text is therefore listed under these of its five-word shingles, and the texts of a list are candidates.
-The order puts shingles that are common in a sample last, so that a line that many texts share heads few lists; the sample bears on
-the cost alone, never on the result. Candidates are verified by the exact similarity. In each list some texts at a time are compared
-with all others that are not yet in their group; a list is left when all its texts are in one group or every two of different groups
-have been compared. So the groups are those of all pairs, and a large family costs a few comparisons a text.
+"""One document of each group of near copies: ball hashing of fingerprints first, then an exact similarity join on word shingles.
+
+Meet-in-the-middle ball hashing of SimHash fingerprints finds the closest copies; what it links is verified and tied. It cannot find all: at a
+similarity of 0.8 two fingerprints differ in some ten bits. So an exact join goes over the rest. Two sets of similarity t or more share an element
+among the first |x| - ceil(t |x|) + 1 of each, in any order that is the same for all sets (prefix filter). Every text is therefore listed under
+these of its five-word shingles, and the texts of a list are candidates. The order puts shingles that are common in a sample last, so that a line
+that many texts share heads few lists; the sample bears on the cost alone, never on the result. Candidates are verified by the exact similarity. In
+each list some texts at a time, the pivots, are compared with all others that are not yet in their group; a list is left when all its texts
+are in one group or every two of different groups have been compared. So the groups are those of all pairs, and a large family costs a few
+comparisons a text. Lists of common shingles may hold a large share of all texts: they are never brought together, only their pivots are sent round.
 """
 
 from __future__ import annotations
@@ -18,13 +20,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut
-from .simhash import SEED, word_shingles
+from .common import as_bytes, components, cut, drop, join_counted
+from .simhash import SEED, fingerprint_rows, links, word_shingles
 
 #: Texts of a list that are compared with the others in the first round; each later round takes so many times more.
 PIVOTS = 8
 #: Texts looked at for common shingles, and the most shingles kept of them (both only order the lists).
 SAMPLE, COMMON = 10_000, 50_000
+#: Up to so many rows of a narrow table are a bounded broadcast.
+BROADCAST_ROWS = 500_000
 SLACK = 1e-9
 
 
@@ -91,7 +95,7 @@ def common_shingles(classes: DataFrame, size: int) -> tuple[np.ndarray, np.ndarr
                 yield pa.RecordBatch.from_arrays([_long(some[0])], names=["key"])
 
     step = max(1, classes.count() // SAMPLE)
-    some = classes.where(F.pmod("doc_id", F.lit(step)) == 0).select("text").mapInArrow(run, "key long")
+    some = classes.where(F.pmod(F.xxhash64("id"), F.lit(step)) == 0).select("text").mapInArrow(run, "key long")
     got = some.groupBy("key").agg(F.count("*").alias("n")).where("n >= 3").orderBy(F.desc("n"), "key").limit(COMMON).toArrow()
     keys, counts = (got.column(c).to_numpy().astype(np.int64) for c in ("key", "n"))
     order = np.argsort(keys.view(np.uint64))
@@ -99,31 +103,35 @@ def common_shingles(classes: DataFrame, size: int) -> tuple[np.ndarray, np.ndarr
 
 
 def _listed(similarity: float, size: int, common: np.ndarray, counts: np.ndarray):
-    """(key, id, size, pos): a row for each key of a text's prefix; size of its set, place of the key in it."""
+    """(key, id, size, pos, comp, hot): a row for each key of a text's prefix; size of its set, place of the key in it, whether the key is common."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def rows(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, ...]]:
-            for i, text in zip(batch.column("doc_id").to_pylist(), as_bytes(batch.column("text")), strict=True):
+            for i, comp, text in zip(batch.column("id").to_pylist(), batch.column("comp").to_pylist(), as_bytes(batch.column("text")), strict=True):
                 keys = shingle_keys(text or b"", size)
                 some = prefix(keys, similarity, common, counts)
                 n = len(some)
-                yield some, np.full(n, i, np.int64), np.full(n, len(keys), np.int32), np.arange(n, dtype=np.int32)
+                yield some, np.full(n, i, np.int64), np.full(n, len(keys), np.int32), np.arange(n, dtype=np.int32), np.full(n, comp, np.int64), np.isin(some, common)
 
         for batch in batches:
             for key, *more in _packed(rows(batch)):
-                yield pa.RecordBatch.from_arrays([_long(key), *map(pa.array, more)], names=["key", "id", "size", "pos"])
+                yield pa.RecordBatch.from_arrays([_long(key), *map(pa.array, more)], names=["key", "id", "size", "pos", "comp", "hot"])
 
     return run
 
 
+#: Kinds of rows of a comparison: a pair to verify, a list row still to be compared, a row of a common list.
+PAIR, REST, HOT = 0, 1, 2
+
+
 def _compare(similarity: float, pivots: int):
-    """Streams (key, id, size, pos, comp) sorted by key and id; gives pairs (a, b) of the first `pivots` of each key with those after them, and as
-    `rest` the rows (key, id, size, pos) that are still to be compared with each other."""
+    """Streams (key, id, size, pos, comp, hot) sorted by key and id. Gives (a, b, size, pos, comp, kind): pairs (a, b) of the first `pivots` texts of each key
+    with those after them; as (key, id) the rows that are still to be compared with each other; rows of common lists as they are."""
 
-    def groups(key: np.ndarray, id: np.ndarray, size: np.ndarray, pos: np.ndarray, comp: np.ndarray) -> Iterator[pa.RecordBatch]:
-        def rows(a: np.ndarray, b: np.ndarray, s: np.ndarray, p: np.ndarray, rest: bool) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(s.astype(np.int32)), pa.array(p.astype(np.int32)), pa.array(np.full(len(a), rest))], names=["a", "b", "size", "pos", "rest"])
+    def rows(a: np.ndarray, b: np.ndarray, s: np.ndarray, p: np.ndarray, c: np.ndarray, kind: int) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(s.astype(np.int32)), pa.array(p.astype(np.int32)), pa.array(c), pa.array(np.full(len(a), kind, np.int32))], names=["a", "b", "size", "pos", "comp", "kind"])
 
+    def groups(key: np.ndarray, id: np.ndarray, size: np.ndarray, pos: np.ndarray, comp: np.ndarray) -> Iterator[pa.RecordBatch]:
         first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         number = np.diff(np.r_[first, len(key)])
         # texts in different groups, or nothing is to be done
@@ -141,17 +149,21 @@ def _compare(similarity: float, pivots: int):
             ok = (comp[at] != comp[later]) & (np.minimum(x, y) >= similarity * np.maximum(x, y) - SLACK)
             ok &= np.minimum(x - pos[at], y - pos[later]) >= similarity / (1 + similarity) * (x + y) - SLACK
             if ok.any():
-                yield rows(id[at[ok]], id[later[ok]], x[ok], pos[at[ok]], False)
+                yield rows(id[at[ok]], id[later[ok]], x[ok], pos[at[ok]], comp[at[ok]], PAIR)
         left = open_ & (rank >= pivots) & (many - pivots >= 2)
         if left.any():
-            yield rows(key[left], id[left], size[left], pos[left], True)
+            yield rows(key[left], id[left], size[left], pos[left], comp[left], REST)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, kept = ("key", "id", "size", "pos", "comp"), []
         for batch in batches:
-            if not batch.num_rows:
-                continue
             new = [batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in names]
+            hot = batch.column("hot").to_numpy(zero_copy_only=False).astype(bool)
+            if hot.any():
+                yield rows(*[c[hot] for c in new], HOT)
+                new = [c[~hot] for c in new]
+            if not len(new[0]):
+                continue
             if kept and kept[-1][0][-1] == new[0][-1]:  # one key goes on
                 kept.append(new)
                 continue
@@ -167,26 +179,71 @@ def _compare(similarity: float, pivots: int):
     return run
 
 
+def _may_be_alike(similarity: float) -> str:
+    """SQL for two list rows l and p: sizes and places of the shared key leave room for the similarity."""
+    return f"l.comp <> p.comp and least(l.size, p.size) >= {similarity} * greatest(l.size, p.size) - {SLACK:.12f} and least(l.size - l.pos, p.size - p.pos) >= {similarity / (1 + similarity)} * (l.size + p.size) - {SLACK:.12f}"
+
+
+def _compare_hot(lists: DataFrame, similarity: float, pivots: int) -> tuple[DataFrame, DataFrame]:
+    """The same for lists of common shingles: (pairs, rows still to be compared). One text for each of `pivots` hash parts of a list is its pivot;
+    these are sent to the list's rows wherever they are, so no task ever holds a list."""
+    open_ = lists.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("key")
+    part = F.pmod(F.xxhash64("id", F.lit(pivots)), F.lit(pivots))
+    chosen = lists.groupBy("key", part.alias("part")).agg(F.min(F.struct("id", "size", "pos", "comp")).alias("x")).join(open_, "key", "left_semi")
+    chosen = cut(chosen.select("key", "x.id", "x.size", "x.pos", "x.comp"), "pivots")
+    few = F.broadcast if chosen.count() <= BROADCAST_ROWS else lambda df: df  # beyond, the skew join deals out long lists
+    met = lists.alias("l").join(few(chosen).alias("p"), "key").where(_may_be_alike(similarity))
+    keys = chosen.select("key").distinct()  # at most COMMON many
+    rest = lists.join(F.broadcast(keys), "key", "left_semi").join(few(chosen.select("key", "id")), ["key", "id"], "left_anti")
+    return met.select(F.least("l.id", "p.id").alias("a"), F.greatest("l.id", "p.id").alias("b")), rest
+
+
+def verified(pairs: DataFrame, texts: DataFrame, similarity: float, size: int) -> DataFrame:
+    """The pairs (a, b) whose texts are alike. texts: (id, text)."""
+    both = pairs.join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a")
+    return cut(both.select("a", "b", "ta", "tb").mapInArrow(_similar_pairs(similarity, size), "a long, b long"), "pairs")
+
+
+def close_pairs(classes: DataFrame, size: int) -> DataFrame:
+    """(a, b), a < b: candidates by ball hashing: texts of one fingerprint with the least of them, and the least ones of linked fingerprints."""
+    prints = cut(fingerprint_rows(classes.select(F.col("id").alias("doc_id"), "text"), size), "fingerprints")
+    nodes = cut(prints.groupBy("fp0").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "nodes")
+    same = join_counted(prints, nodes, "fp0", "n").select(F.col("least").alias("a"), F.col("doc_id").alias("b"))
+    fp, least = nodes.select(F.col("fp0").alias("fp")), lambda x: nodes.select(F.col("fp0").alias(x), F.col("least").alias(f"least_{x}"))
+    across = links(fp).join(least("a"), "a").join(least("b"), "b").select(F.least("least_a", "least_b").alias("a"), F.greatest("least_a", "least_b").alias("b"))
+    return cut(same.union(across).where("a < b").distinct(), "candidates")
+
+
 def similar_groups(classes: DataFrame, similarity: float, size: int) -> DataFrame:
-    """(id, component) of the graph of all pairs of texts of this similarity. classes: (doc_id long, text), no id twice."""
+    """(id, component) of the graph of all pairs of texts of this similarity. classes: (id long, text), no id twice."""
     n = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    texts = classes.select(F.col("doc_id").alias("id"), "text")
-    ids = texts.select("id")
-    lists = classes.select("doc_id", "text").mapInArrow(_listed(similarity, size, *common_shingles(classes, size)), "key long, id long, size int, pos int").withColumn("comp", F.col("id"))
-    pivots, true, tried = PIVOTS, None, None
+    texts, ids = classes.select("id", "text"), classes.select("id")
+    common, counts = common_shingles(classes, size)
+    tried = close_pairs(classes, size)
+    true = verified(tried, texts, similarity, size)
+    groups = cut(components(ids, true), "groups")
+    tied = cut(groups.where("id <> component").withColumnRenamed("component", "comp"), "tied")
+    # the rows of a list know their groups from the start
+    known = texts.join(F.broadcast(tied) if tied.count() <= BROADCAST_ROWS else tied, "id", "left").select("id", "text", F.coalesce("comp", "id").alias("comp"))
+    lists, pivots = known.mapInArrow(_listed(similarity, size, common, counts), "key long, id long, size int, pos int, comp long, hot boolean"), PIVOTS
+    hot = None
     while True:
-        got = cut(lists.repartition(n, "key").sortWithinPartitions("key", "id").mapInArrow(_compare(similarity, pivots), "a long, b long, size int, pos int, rest boolean"), "lists")
-        pairs = got.where("not rest").select("a", "b").distinct()
-        pairs = cut(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "candidates")
-        tried = pairs if tried is None else tried.union(pairs)
-        both = pairs.join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a")
-        found = cut(both.select("a", "b", "ta", "tb").mapInArrow(_similar_pairs(similarity, size), "a long, b long"), "pairs")
-        true = found if true is None else true.union(found)
+        # rows of common lists are dealt by id; only the first round has them here
+        dealt = lists.repartition(n, "key", F.when(F.col("hot"), F.col("id"))).sortWithinPartitions("key", "id")
+        got = cut(dealt.mapInArrow(_compare(similarity, pivots), "a long, b long, size int, pos int, comp long, kind int"), "lists")
+        row = (F.col("a").alias("key"), F.col("b").alias("id"), "size", "pos")
+        if hot is None:
+            hot = got.where(F.col("kind") == HOT).select(*row, "comp")
+        met, hot_rest = _compare_hot(hot, similarity, pivots)
+        pairs = cut(got.where(F.col("kind") == PAIR).select("a", "b").union(met).distinct().join(tried, ["a", "b"], "left_anti"), "candidates")
+        tried, true = tried.union(pairs), true.union(verified(pairs, texts, similarity, size))
         groups = cut(components(ids, true), "groups")
-        rest = got.where("rest")
+        rest = got.where(F.col("kind") == REST).select(*row, F.lit(False).alias("hot")).union(hot_rest.select("key", "id", "size", "pos", F.lit(True)))
+        rest = cut(rest.join(groups.withColumnRenamed("component", "comp"), "id"), "rest")
+        drop(got)
         if rest.isEmpty():
             return groups
-        lists = rest.select(F.col("a").alias("key"), F.col("b").alias("id"), "size", "pos").join(groups.withColumnRenamed("component", "comp"), "id").select("key", "id", "size", "pos", "comp")
+        hot, lists = rest.where("hot").drop("hot"), rest.where("not hot")
         pivots *= PIVOTS
 
 
@@ -194,17 +251,19 @@ def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: in
     """The rows of docs, all columns, without those that have a like document with a smaller id in their group.
 
     Groups: connected documents of similarity 0.8 or more. Texts that agree after lower-casing A-Z and splitting into words are
-    collapsed first. Null, empty and blank texts are copies of each other. Of rows with the same id and text one stays. An empty table
-    gives an empty result.
+    collapsed first, by their SHA-256 digest. Null, empty and blank texts are copies of each other. A null id counts as the largest. Of rows with the same id and
+    words the one with the least hash of its columns stays, of equal rows one. An empty table gives an empty result.
     """
     words = F.array_join(F.filter(F.split(F.translate(F.coalesce(F.col("text").cast("string"), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\x20\x09-\x0D]+"), lambda w: w != ""), " ")
-    keyed = docs.withColumn("_norm", words).withColumn("_key", F.xxhash64("_norm", F.sha2("_norm", 256)))
-    # one text for each class of equal word sequences; the id of a class is its key
-    classes = keyed.groupBy("_key").agg(F.min("_norm").alias("text"), F.min("doc_id").alias("least"))
-    classes = cut(classes.select(F.col("_key").alias("doc_id"), "text", "least"), "classes")
-    groups = similar_groups(classes, similarity, shingle_words)
-    best = groups.join(classes.select(F.col("doc_id").alias("id"), "least"), "id")
-    keepers = best.groupBy("component").agg(F.min(F.struct(F.col("least").isNull(), "least", "id")).alias("k")).select(F.col("k.id").alias("_key"), F.col("k.least").alias("_least"))
-    # of the rows of the keeping class, the one with the least id; rows repeated with that id are one document
-    kept = keyed.join(keepers, "_key").where(F.col("doc_id").eqNullSafe(F.col("_least")))
-    return kept.dropDuplicates(["_key"]).select(*docs.columns)
+    hashable = [f"`{f.name}`" for f in docs.schema if not any(t in f.dataType.simpleString() for t in ("map<", "variant"))]
+    # the row stands apart in a struct, so no name of it can clash
+    keyed = docs.select(F.struct("*").alias("row"), F.col("doc_id").isNull().alias("none"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("least"), F.xxhash64(*hashable).alias("tie"), words.alias("norm"))
+    keyed = keyed.withColumn("digest", F.sha2("norm", 256))
+    # one text for each class of equal word sequences; numbered as they are written, so no two classes share a number
+    classes = keyed.groupBy("digest").agg(F.min("norm").alias("text"), F.min(F.struct("none", "least", "tie")).alias("first"))
+    classes = cut(classes.select(F.monotonically_increasing_id().alias("id"), "digest", "text", "first"), "classes")
+    groups = similar_groups(classes.select("id", "text"), similarity, shingle_words)
+    best = groups.join(classes.select("id", "digest", "first"), "id").groupBy("component").agg(F.min(F.struct("first", "digest")).alias("k"))
+    keepers = cut(best.select("k.digest", "k.first.none", "k.first.least", "k.first.tie"), "keepers")
+    place = ["digest", "none", "least", "tie"]
+    return keyed.drop("norm").join(keepers, place, "left_semi").dropDuplicates(place).select("row.*")
