@@ -220,8 +220,7 @@ def similar_groups(classes: DataFrame, similarity: float, size: int) -> DataFram
     texts, ids = classes.select("id", "text"), classes.select("id")
     common, counts = common_shingles(classes, size)
     tried = close_pairs(classes, size)
-    true = verified(tried, texts, similarity, size)
-    groups = cut(components(ids, true), "groups")
+    groups = cut(components(ids, verified(tried, texts, similarity, size)), "groups")
     tied = cut(groups.where("id <> component").withColumnRenamed("component", "comp"), "tied")
     # the rows of a list know their groups from the start
     known = texts.join(F.broadcast(tied) if tied.count() <= BROADCAST_ROWS else tied, "id", "left").select("id", "text", F.coalesce("comp", "id").alias("comp"))
@@ -236,8 +235,9 @@ def similar_groups(classes: DataFrame, similarity: float, size: int) -> DataFram
             hot = got.where(F.col("kind") == HOT).select(*row, "comp")
         met, hot_rest = _compare_hot(hot, similarity, pivots)
         pairs = cut(got.where(F.col("kind") == PAIR).select("a", "b").union(met).distinct().join(tried, ["a", "b"], "left_anti"), "candidates")
-        tried, true = tried.union(pairs), true.union(verified(pairs, texts, similarity, size))
-        groups = cut(components(ids, true), "groups")
+        tried, true = tried.union(pairs), verified(pairs, texts, similarity, size)
+        if not true.isEmpty():
+            groups = cut(components(ids, groups.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b")).union(true)), "groups")
         rest = got.where(F.col("kind") == REST).select(*row, F.lit(False).alias("hot")).union(hot_rest.select("key", "id", "size", "pos", F.lit(True)))
         rest = cut(rest.join(groups.withColumnRenamed("component", "comp"), "id"), "rest")
         drop(got)

@@ -57,18 +57,18 @@ def test_texts_of_the_same_words_in_another_order(spark):
     assert kept(spark, texts) == want
 
 
-@pytest.mark.parametrize("pivots", [8, 2])
-def test_a_large_family_of_edits(spark, monkeypatch, pivots):
-    monkeypatch.setattr(near_copies, "PIVOTS", pivots)
+def test_a_large_family_of_edits(spark):
     rng = random.Random(22)
     base = [rng.choice(VOCAB) for _ in range(150)]
     texts = [edited(rng, base, 6) for _ in range(700)]
     assert kept(spark, texts) == components_of_all_pairs(texts)
 
 
-@pytest.mark.parametrize("pivots", [8, 2])
-def test_families_that_share_a_common_passage(spark, monkeypatch, pivots):
+@pytest.mark.parametrize("pivots, common", [(8, 50_000), (2, 0)])
+def test_families_that_share_a_common_passage(spark, monkeypatch, pivots, common):
+    """common = 0: every list is met in one task, none as the list of a common shingle."""
     monkeypatch.setattr(near_copies, "PIVOTS", pivots)
+    monkeypatch.setattr(near_copies, "COMMON", common)
     rng = random.Random(23)
     passage = [rng.choice(VOCAB) for _ in range(60)]
     bases = [passage + [rng.choice(VOCAB) for _ in range(rng.randint(5, 60))] for _ in range(60)]
