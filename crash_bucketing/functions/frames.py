@@ -67,18 +67,27 @@ def line_key(line: Column, key: str) -> Column:
 def collapse_lines(crashes: DataFrame, key: str = "text", scope: str = "trace") -> DataFrame:
     """crashes with `trace`, and `lines`: frame texts, repeats but the topmost left out; indices keep their gaps.
 
-    scope 'trace': anywhere in the trace: a hash-based distinct of the keys, then the first place of each (frames times
-    different frames; where both are in the tens of thousands, use collapse_long). scope 'run': only neighbours.
+    scope 'trace': anywhere in the trace: keys are sorted with their places, so equal ones stand together and the first of each stays; frames times
+    their logarithm, however many differ. scope 'run': only neighbours.
     """
     df = once(crashes, _lines=frame_lines(F.col("trace")))
-    df = once(df, _keys=F.transform("_lines", lambda x: line_key(x, key)))
     if scope == "run":
+        df = once(df, _keys=F.transform("_lines", lambda x: line_key(x, key)))
         kept = F.filter("_lines", lambda x, i: (i == 0) | (F.get("_keys", i) != F.get("_keys", i - 1)))
     else:
-        kept = F.transform(F.array_distinct("_keys"), lambda k: F.get("_lines", (F.array_position("_keys", k) - 1).cast("int")))
+        df = once(df, _keys=F.array_sort(F.transform("_lines", lambda x, i: F.struct(line_key(x, key).alias("k"), i.alias("i")))))
+        firsts = F.filter("_keys", lambda x, i: (i == 0) | (x["k"] != F.get("_keys", i - 1)["k"]))
+        kept = F.transform(F.array_sort(F.transform(firsts, lambda x: x["i"])), lambda i: F.get("_lines", i))
     return once(df, lines=kept).drop("_lines", "_keys")
 
 
+def places(lines: Column) -> Column:
+    """Function and site of each frame, a line `func|site` for each; both empty for a text that is no frame. All of a trace at once: no frame is parsed."""
+    text = F.regexp_replace(without_arguments(F.array_join(lines, "\n")), r"(?m)^(?!\s*#\d+\s).*$", "#0 ")
+    bodies = F.regexp_replace(text, r"(?m)^\s*#\d+[ \t]+(0x[0-9a-fA-F]+ in )?", "")
+    return F.regexp_replace(bodies, r"(?m)^(.*?)[ \t]*(?: at (\S+:\d+)| from \S+)?[ \t]*$", "$1|$2")
+
+
 def collapse_long(crashes: DataFrame, key: str = "text") -> DataFrame:
     """(crash_id, lines): the same by rows, for traces of very many different frames: map-side minima, one shuffle, no nested look-up."""
     rows = crashes.select("crash_id", F.posexplode(frame_lines(F.col("trace"))).alias("pos", "line"))

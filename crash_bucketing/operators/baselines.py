@@ -9,24 +9,35 @@ from pyspark.ml.functions import array_to_vector
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.frames import parse_lines, places
 from ..plans.search import assess, choose, search
 from .hierarchy import NOISE, canonical, condense, core_distance, merge_equal, pair_distances, prim
-from .quality import silhouette
+from .quality import HELD, silhouette
 
 ASSIGNED = "target string, point long, bucket long"
 
 
 def stack_hash(crashes: DataFrame, fields: tuple[str, ...] = ("func", "site"), top_n: int | None = None) -> DataFrame:
-    """(target, crash_id, bucket): equal hash of the chosen frame fields, same bucket. crashes carry `frames`."""
-    some = F.slice("frames", 1, top_n) if top_n else F.col("frames")
-    key = F.array_join(F.transform(some, lambda f: F.concat_ws("|", *[F.coalesce(f[x].cast("string"), F.lit("")) for x in fields])), "\n")
+    """(target, crash_id, bucket): equal hash of the chosen frame fields, same bucket. crashes carry `lines`, frame texts after repeats are dropped.
+
+    Function and site are cut out of the whole trace at once; for other fields each frame is parsed.
+    """
+    some = F.slice("lines", 1, top_n) if top_n else F.col("lines")
+    if fields == ("func", "site"):
+        key = places(some)
+    else:
+        key = F.array_join(F.transform(parse_lines(some), lambda f: F.concat_ws("|", *[F.coalesce(f[x].cast("string"), F.lit("")) for x in fields])), "\n")
     return crashes.select("target", "crash_id", F.sha2(key, 256).alias("bucket"))
 
 
-def block_scores(blocks: DataFrame) -> DataFrame:
-    """(block, in_crash, in_healthy, mi): mutual information in nats between a block's presence and the outcome. blocks: distinct (run_id, block, crashed)."""
-    runs = blocks.select("run_id", "crashed").distinct().agg(F.count_if("crashed").alias("n1"), F.count_if(~F.col("crashed")).alias("n0"))
-    counts = blocks.groupBy("block").agg(F.count_if("crashed").alias("in_crash"), F.count_if(~F.col("crashed")).alias("in_healthy")).crossJoin(F.broadcast(runs))  # one row
+def block_scores(blocks: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by..., block, in_crash, in_healthy, mi): mutual information in nats between a block's presence and the outcome. blocks: distinct (by..., run_id, block, crashed).
+
+    by: columns that part the runs into programs of their own, such as the target.
+    """
+    runs = blocks.select(*by, "run_id", "crashed").distinct().groupBy(*by).agg(F.count_if("crashed").alias("n1"), F.count_if(~F.col("crashed")).alias("n0"))
+    counts = blocks.groupBy(*by, "block").agg(F.count_if("crashed").alias("in_crash"), F.count_if(~F.col("crashed")).alias("in_healthy"))
+    counts = counts.join(runs, list(by)) if by else counts.crossJoin(F.broadcast(runs))  # one row
     n = F.col("n1") + F.col("n0")
 
     def term(joint, row, column):
@@ -35,17 +46,23 @@ def block_scores(blocks: DataFrame) -> DataFrame:
     a, b = F.col("in_crash"), F.col("in_healthy")
     present, absent = a + b, n - a - b
     mi = term(a, present, F.col("n1")) + term(b, present, F.col("n0")) + term(F.col("n1") - a, absent, F.col("n1")) + term(F.col("n0") - b, absent, F.col("n0"))
-    return counts.select("block", "in_crash", "in_healthy", mi.alias("mi"))
+    return counts.select(*by, "block", "in_crash", "in_healthy", mi.alias("mi"))
 
 
-def mutual_information_buckets(blocks: DataFrame, top_m: int | None = 16, min_mi: float | None = None) -> DataFrame:
-    """(run_id, bucket): crashing runs grouped by which of the telling blocks occur in them."""
-    scored = block_scores(blocks)
-    top = scored.where(F.col("mi") >= min_mi) if min_mi is not None else scored.orderBy(F.desc(F.round("mi", 9)), "block").limit(top_m)
-    runs = blocks.where("crashed").select("run_id").distinct()
-    hits = blocks.where("crashed").join(F.broadcast(top.select("block")) if min_mi is None else top.select("block"), "block")  # top_m rows
-    sign = hits.groupBy("run_id").agg(F.array_join(F.array_sort(F.collect_set("block")), ",").alias("bucket"))
-    return runs.join(sign, "run_id", "left").select("run_id", F.coalesce("bucket", F.lit("")).alias("bucket"))
+def mutual_information_buckets(blocks: DataFrame, top_m: int | None = 16, min_mi: float | None = None, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by..., run_id, bucket): crashing runs grouped by which of the telling blocks occur in them; the top_m blocks of each program, or all of min_mi and more."""
+    scored = block_scores(blocks, by)
+    if min_mi is not None:
+        top = scored.where(F.col("mi") >= min_mi)
+    elif by:
+        place = F.row_number().over(Window.partitionBy(*by).orderBy(F.desc(F.round("mi", 9)), "block"))
+        top = scored.withColumn("place", place).where(F.col("place") <= top_m)
+    else:
+        top = scored.orderBy(F.desc(F.round("mi", 9)), "block").limit(top_m)
+    top, runs = top.select(*by, "block"), blocks.where("crashed").select(*by, "run_id").distinct()
+    hits = blocks.where("crashed").join(F.broadcast(top) if min_mi is None and not by else top, [*by, "block"])  # top_m rows
+    sign = hits.groupBy(*by, "run_id").agg(F.array_join(F.array_sort(F.collect_set("block")), ",").alias("bucket"))
+    return runs.join(sign, [*by, "run_id"], "left").select(*by, "run_id", F.coalesce("bucket", F.lit("")).alias("bucket"))
 
 
 def edges_of(rows: DataFrame, order: str, node: str) -> DataFrame:
@@ -54,13 +71,43 @@ def edges_of(rows: DataFrame, order: str, node: str) -> DataFrame:
     return rows.select("target", "crash_id", F.col(node).alias("u"), nxt.alias("v")).where("v is not null").distinct().withColumn("edge", F.concat_ws(">", "u", "v"))
 
 
-def edge_jaccard(edges: DataFrame) -> DataFrame:
-    """(target, a, b, similarity) of graphs that share an edge; an inverted list of edges, not all pairs."""
-    sizes = edges.groupBy("target", "crash_id").agg(F.count("*").alias("s"))
-    left, right = edges.select("target", "edge", F.col("crash_id").alias("a")), edges.select("target", "edge", F.col("crash_id").alias("b"))
-    both = left.join(right, ["target", "edge"]).where("a < b").groupBy("target", "a", "b").agg(F.count("*").alias("c"))
-    both = both.join(sizes.select("target", F.col("crash_id").alias("a"), F.col("s").alias("sa")), ["target", "a"]).join(sizes.select("target", F.col("crash_id").alias("b"), F.col("s").alias("sb")), ["target", "b"])
-    return both.select("target", "a", "b", (F.col("c") / (F.col("sa") + F.col("sb") - F.col("c"))).alias("similarity"))
+def graphs_of(features: DataFrame, feature: str = "feature") -> tuple[DataFrame, DataFrame]:
+    """(graphs, members): crashes of a target with equal feature sets are one graph. graphs: target, g, f (sorted), rep, weight. members: target, g, crash_id."""
+    sets = features.groupBy("target", "crash_id").agg(F.array_sort(F.collect_set(feature)).alias("f")).withColumn("g", F.sha2(F.array_join("f", "\n"), 256))
+    return sets.groupBy("target", "g").agg(F.first("f").alias("f"), F.min("crash_id").alias("rep"), F.count("*").alias("weight")), sets.select("target", "g", "crash_id")
+
+
+def graph_pairs(graphs: DataFrame, threshold: float, asked: DataFrame | None = None) -> DataFrame:
+    """(target, g, h, similarity) of different graphs whose feature sets have a Jaccard similarity of at least the threshold (above 0).
+
+    A graph is listed under the first |f| - ceil(t |f|) + 1 of its features, rare ones first, so features that every crash has head no list;
+    graphs of a list are candidates, then compared exactly. asked: only pairs with a g out of these (target, g), both ways; else each pair once, g < h.
+    """
+    rows = graphs.select("target", "g", F.size("f").alias("s"), F.explode("f").alias("x"))
+    often = rows.groupBy("target", "x").agg(F.count("*").alias("often"))
+    place = F.row_number().over(Window.partitionBy("target", "g").orderBy("often", "x"))
+    lists = rows.join(often, ["target", "x"]).withColumn("place", place).where(F.col("place") <= F.col("s") - F.ceil(F.col("s") * threshold - 1e-9) + 1).select("target", "x", "g", "s")
+    left = lists if asked is None else lists.join(asked.select("target", "g"), ["target", "g"], "left_semi")
+    met = left.alias("a").join(lists.alias("b"), (F.col("a.target") == F.col("b.target")) & (F.col("a.x") == F.col("b.x")) & ((F.col("a.g") < F.col("b.g")) if asked is None else (F.col("a.g") != F.col("b.g"))))
+    sized = F.least("a.s", "b.s") >= F.greatest("a.s", "b.s") * threshold - 1e-9
+    pairs = met.where(sized).select("a.target", "a.g", F.col("b.g").alias("h")).distinct()
+    sets = graphs.select("target", "g", "f")
+    both = pairs.join(sets, ["target", "g"]).join(sets.select("target", F.col("g").alias("h"), F.col("f").alias("f2")), ["target", "h"])
+    common = F.size(F.array_intersect("f", "f2"))
+    return both.select("target", "g", "h", (common / (F.size("f") + F.size("f2") - common)).alias("similarity")).where(F.col("similarity") >= threshold - 1e-9)
+
+
+def edge_jaccard(edges: DataFrame, asked: DataFrame, threshold: float = 1e-9) -> DataFrame:
+    """(target, a, b, similarity), a < b, of the asked crashes (target, crash_id) with all others at the threshold or above.
+
+    Similarities are found between different graphs; only the asked ones are told crash by crash.
+    """
+    graphs, members = graphs_of(edges, "edge")
+    mine = members.join(asked.select("target", "crash_id"), ["target", "crash_id"], "left_semi")
+    pairs = graph_pairs(graphs, threshold, mine.select("target", "g").distinct())
+    same = mine.select("target", "g").distinct().select("target", "g", F.col("g").alias("h"), F.lit(1.0).alias("similarity"))
+    told = mine.select("target", "g", F.col("crash_id").alias("a")).join(pairs.union(same), ["target", "g"])
+    return told.join(members.select("target", F.col("g").alias("h"), F.col("crash_id").alias("b")), ["target", "h"]).where("a < b").select("target", "a", "b", "similarity")
 
 
 def wl_labels(edges: DataFrame, rounds: int = 2) -> DataFrame:
@@ -76,38 +123,48 @@ def wl_labels(edges: DataFrame, rounds: int = 2) -> DataFrame:
 
 
 def average_linkage(n: int, similarity: np.ndarray, threshold: float, least: int = 2) -> np.ndarray:
-    """Merge the most similar clusters while they reach the threshold and more than `least` are left."""
+    """Merge the most similar clusters while they reach the threshold and more than `least` are left. The best partner of each cluster is remembered."""
     label, size, s = np.arange(n), np.ones(n), similarity.astype(float).copy()
     np.fill_diagonal(s, -1)
-    alive = n
+    alive, partner = n, s.argmax(axis=1) if n else []
+    best = s[np.arange(n), partner] if n else np.zeros(0)
     while alive > least:
-        i, j = np.unravel_index(np.argmax(s), s.shape)
-        if s[i, j] < threshold:
+        i = int(best.argmax())
+        if best[i] < threshold:
             break
-        i, j = min(i, j), max(i, j)
+        i, j = sorted((i, int(partner[i])))
         row = (s[i] * size[i] + s[j] * size[j]) / (size[i] + size[j])
+        row[(s[i] < 0) | (s[j] < 0)] = -1  # merged ones stay out
         s[i], s[:, i] = row, row
         s[i, i] = -1
         s[j], s[:, j] = -1, -1
         size[i] += size[j]
         label[label == j] = i
         alive -= 1
+        best[j] = -1
+        for k in np.flatnonzero((partner == i) | (partner == j) | (s[i] >= best)):
+            if best[k] >= 0 or k == i:
+                partner[k] = s[k].argmax()
+                best[k] = s[k, partner[k]]
     return canonical(label)
 
 
 def cfg_buckets(features: DataFrame, threshold: float = 0.5) -> DataFrame:
     """(target, crash_id, bucket) from feature sets (edges or relabelled nodes): equal sets first become one graph, then average linkage per target over distinct graphs."""
-    sets = features.groupBy("target", "crash_id").agg(F.array_sort(F.collect_set("feature")).alias("f"))
-    graphs = sets.groupBy("target", F.sha2(F.array_join("f", "\n"), 256).alias("g")).agg(F.first("f").alias("f"), F.min("crash_id").alias("rep"))
+    graphs, members = graphs_of(features)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("rep")
-        sets_ = [set(f) for f in pdf["f"]]
-        s = np.array([[len(a & b) / max(1, len(a | b)) for b in sets_] for a in sets_])
-        return pd.DataFrame({"target": pdf["target"], "g": pdf["g"], "bucket": [f"g{k}" for k in average_linkage(len(sets_), s, threshold)]})
+        names: dict[str, int] = {}
+        held = np.zeros((len(pdf), len({x for f in pdf["f"] for x in f})), dtype=np.float32)
+        for i, f in enumerate(pdf["f"]):
+            held[i, [names.setdefault(x, len(names)) for x in f]] = 1
+        common, size = (held @ held.T).astype(np.float64), held.sum(axis=1)
+        s = common / np.maximum(1, size[:, None] + size[None, :] - common)
+        return pd.DataFrame({"target": pdf["target"], "g": pdf["g"], "bucket": [f"g{k}" for k in average_linkage(len(pdf), s, threshold)]})
 
     named = graphs.groupBy("target").applyInPandas(run, "target string, g string, bucket string")
-    return sets.select("target", "crash_id", F.sha2(F.array_join("f", "\n"), 256).alias("g")).join(named, ["target", "g"]).select("target", "crash_id", "bucket")
+    return members.join(named, ["target", "g"]).select("target", "crash_id", "bucket")
 
 
 def fewer_clusters(first: DataFrame, second: DataFrame) -> DataFrame:
@@ -157,8 +214,15 @@ def dbscan(points: DataFrame, eps: float, min_pts: int = 1) -> DataFrame:
     return points.select("target", "point", "vec").groupBy("target").applyInPandas(run, ASSIGNED)
 
 
+def cut_persistence(tree: list, eps: float) -> float:
+    """Share of the distances up to the tree's largest edge over which the cut at eps stays the same; a cut that joins all lasts no time."""
+    edges = sorted(d for _, _, d in tree)
+    below, above = max((d for d in edges if d <= eps), default=0.0), min((d for d in edges if d > eps), default=edges[-1])
+    return max(0.0, above - below) / edges[-1] if edges[-1] else 0.0
+
+
 def dbscan_search(points: DataFrame, num_steps: int = 20) -> DataFrame:
-    """The same search over cuts of the tree, chosen by validity, then by number of buckets."""
+    """The same search over cuts of the tree, chosen by validity, persistence of the cut, number of buckets."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("point")
@@ -167,13 +231,12 @@ def dbscan_search(points: DataFrame, num_steps: int = 20) -> DataFrame:
         label = np.zeros(len(x), dtype=np.int64)
         if tree:
 
-
             def cut(eps: float) -> tuple[np.ndarray, list[int]]:
                 own = _cut(tree, len(x), eps)
                 return canonical(np.where(np.bincount(own, minlength=len(x))[own] == 1, NOISE, own)), []
 
-            # no cluster is selected, so persistence is 0 and the choice goes by validity and size
-            label = choose(assess(search(cut, tree[0][2], tree[-1][2], num_steps), condense(len(x), tree), x)).label
+            found = search(cut, tree[0][2], tree[-1][2], num_steps)
+            label = choose(assess(found, condense(len(x), tree), x, lasting=lambda r: cut_persistence(tree, r.epsilon))).label
         return pd.DataFrame({"target": pdf["target"], "point": pdf["point"], "bucket": label[index]})
 
     return points.select("target", "point", "vec").groupBy("target").applyInPandas(run, ASSIGNED)
@@ -189,13 +252,12 @@ def lloyd(x: np.ndarray, k: int, seed: int, rounds: int = 30) -> np.ndarray:
         d = np.minimum(d, pair_distances(x, centres[-1][None])[:, 0])
     c, label = np.array(centres), None
     for _ in range(rounds):
-        new = pair_distances(x, c).argmin(axis=1)
+        new = (x @ c.T - (c * c).sum(axis=1) / 2).argmax(axis=1)
         if label is not None and (new == label).all():
             break
         label = new
-        for j in range(k):
-            if (label == j).any():
-                c[j] = x[label == j].mean(axis=0)
+        for j in np.unique(label):
+            c[j] = x[label == j].mean(axis=0)
     return label
 
 
@@ -206,10 +268,11 @@ def kmeans_search(points: DataFrame, k_max: int = 100, seed: int = 0, min_silhou
         pdf = pdf.sort_values("point")
         x, index = merge_equal(np.array(pdf["vec"].tolist(), dtype=np.float64))
         best, label = min_silhouette, np.zeros(len(x), dtype=np.int64)
+        dist = pair_distances(x, x) if len(x) <= HELD else None  # once for all k
         if len(x) >= 3:
             for k in range(2, min(k_max, len(x) - 1) + 1):
                 got = lloyd(x, k, seed)
-                s = silhouette(x, got)
+                s = silhouette(x, got, dist)
                 if s > best:
                     best, label = s, got
         return pd.DataFrame({"target": pdf["target"], "point": pdf["point"], "bucket": canonical(label)[index]})

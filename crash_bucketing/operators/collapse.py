@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import ahocorasick
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,7 +31,33 @@ def collapse_exact(prepared: DataFrame, sources: list[str] = SOURCES) -> tuple[D
     return points, members
 
 
-def label_leaks(prepared: DataFrame, labels: DataFrame, sources: list[str] = SOURCES) -> DataFrame:
-    """(crash_id, source, label) where a text contains a label. labels: few short strings, a bounded broadcast."""
-    long = prepared.select("crash_id", F.explode(F.array(*[F.struct(F.lit(s).alias("source"), F.col(s).alias("text")) for s in sources])).alias("x")).select("crash_id", "x.source", "x.text")
-    return long.join(F.broadcast(labels.select("label").distinct()), F.col("text").contains(F.col("label"))).select("crash_id", "source", "label")
+def label_leaks(prepared: DataFrame, labels: DataFrame, sources: list[str] = SOURCES, block_labels: int = 20_000, block_bytes: int = 1 << 24) -> DataFrame:
+    """(crash_id, source, label) where a text contains a label.
+
+    One pass over the texts finds all labels of a block at once (multi-pattern automaton in the Arrow batches). Blocks hold about `block_labels`
+    labels and `block_bytes` bytes, so what is sent round is bounded however many there are. Empty labels are in no text.
+    """
+    spark, names = prepared.sparkSession, labels.select(F.col("label").cast("string").alias("label")).where("label <> ''").distinct()
+    held = names.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("label")), F.lit(0)).alias("b")).first()
+    blocks = max(1, -(-held["n"] // block_labels), -(-held["b"] // block_bytes))
+    rows, schema = prepared.select("crash_id", *sources), f"crash_id {prepared.schema['crash_id'].dataType.simpleString()}, source string, label string"
+    out = None
+    for b in range(blocks):
+        shared = spark.sparkContext.broadcast(sorted(r["label"] for r in names.where(F.pmod(F.xxhash64("label"), F.lit(blocks)) == b).collect()))
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            auto = ahocorasick.Automaton()
+            for label in shared.value:
+                auto.add_word(label, label)
+            if shared.value:
+                auto.make_automaton()
+            for batch in batches:
+                ids, found = batch.column("crash_id").to_pylist(), []
+                for s in sources if shared.value else ():
+                    for i, text in zip(ids, batch.column(s).to_pylist(), strict=True):
+                        found += [(i, s, label) for label in sorted({x for _, x in auto.iter(text)})] if text else []
+                yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], batch.column("crash_id").type), *[pa.array([f[k] for f in found], pa.string()) for k in (1, 2)]], names=["crash_id", "source", "label"])
+
+        some = rows.mapInArrow(run, schema)
+        out = some if out is None else out.union(some)
+    return out

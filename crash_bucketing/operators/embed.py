@@ -29,10 +29,10 @@ class Embedder(Protocol):
 
 
 @lru_cache(maxsize=200_000)
-def _signs(token: str, blocks: int, seed: int) -> np.ndarray:
-    """Random signs of a token, 512 to a block, from a hash of token, block and seed; the first ones do not depend on how many there are."""
-    raw = b"".join(hashlib.blake2b(token.encode(), digest_size=64, salt=b"%d-%d" % (seed, b)).digest() for b in range(blocks))
-    return np.unpackbits(np.frombuffer(raw, dtype=np.uint8)).astype(np.float32) * 2 - 1
+def _bits(token: str, n_bytes: int, seed: int) -> bytes:
+    """Random bits of a token, 64 bytes to a block, from a hash of token, block and seed; the first ones do not depend on how many there are."""
+    blocks = range(-(-n_bytes // 64))
+    return b"".join(hashlib.blake2b(token.encode(), digest_size=64, salt=b"%d-%d" % (seed, b)).digest() for b in blocks)[:n_bytes]
 
 
 class HashProjectionEmbedder:
@@ -56,11 +56,13 @@ class HashProjectionEmbedder:
         return out
 
     def vector(self, text: str, keep: int) -> np.ndarray:
-        keep = min(keep, self.dim)
-        out = np.zeros(keep)
-        for token, n in self.tokens(text).items():
-            out += np.sqrt(n) * _signs(token, -(-keep // 512), self.seed)[:keep]
-        return out
+        keep, tokens = min(keep, self.dim), self.tokens(text)
+        if not tokens:
+            return np.zeros(keep)
+        n_bytes = -(-keep // 8)
+        bits = np.frombuffer(b"".join(_bits(t, n_bytes, self.seed) for t in tokens), dtype=np.uint8).reshape(-1, n_bytes)
+        signs = np.unpackbits(bits, axis=1)[:, :keep] * 2.0 - 1
+        return np.sqrt(np.fromiter(tokens.values(), dtype=np.float64, count=len(tokens))) @ signs
 
     def embed(self, texts: DataFrame, keep: int = KEPT) -> DataFrame:
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -113,9 +115,15 @@ def batch_requests(texts: DataFrame, max_rows: int = 2048, max_bytes: int = 1 <<
 
 
 def texts_by_hash(prepared: DataFrame, sources: list[str]) -> DataFrame:
-    """Distinct (hash, text) over all sources: what has to be embedded at all."""
-    long = prepared.select(F.explode(F.array(*[F.col(s) for s in sources])).alias("text")).where("text is not null")
-    return long.groupBy(F.sha2("text", 256).alias("hash")).agg(F.first("text").alias("text"))
+    """Distinct (hash, text) over all sources: what has to be embedded at all. prepared: one row per crash_id.
+
+    Only digests are aggregated; the text of each is then taken from one crash that has it.
+    """
+    each = F.array(*[F.struct(F.sha2(s, 256).alias("hash"), F.lit(s).alias("source")) for s in sources])
+    long = prepared.select("crash_id", F.explode(each).alias("x")).where("x.hash is not null")
+    chosen = long.groupBy("x.hash").agg(F.min(F.struct("crash_id", "x.source")).alias("at")).select("hash", "at.crash_id", "at.source")
+    text = F.coalesce(*[F.when(F.col("source") == s, F.col(s)) for s in sources])
+    return prepared.select("crash_id", *sources).join(chosen, "crash_id").select("hash", text.alias("text"))
 
 
 def missing_texts(texts: DataFrame, store: DataFrame) -> DataFrame:
@@ -127,24 +135,23 @@ def embed_with_store(texts: DataFrame, embedder: Embedder, path: str, keep: int
 
     The store is Parquet under path/model=<name>; appends only, read by distinct hash, so a repeated append does no harm.
     """
-    spark, place = texts.sparkSession, f"{path}/model={embedder.name}"
-    try:
-        store = spark.read.schema("hash string, vec array<double>").parquet(place)
-    except Exception:  # no store yet
-        store = spark.createDataFrame([], "hash string, vec array<double>")
+    spark, place, schema = texts.sparkSession, f"{path}/model={embedder.name}", "hash string, vec array<double>"
+    folder = spark._jvm.org.apache.hadoop.fs.Path(place)
+    there = folder.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).exists(folder)
+    store = spark.read.schema(schema).parquet(place) if there else spark.createDataFrame([], schema)
     embedder.embed(missing_texts(texts, store), keep).write.mode("append").parquet(place)
-    done = spark.read.schema("hash string, vec array<double>").parquet(place).dropDuplicates(["hash"])
+    done = spark.read.schema(schema).parquet(place).dropDuplicates(["hash"])
     return texts.select("hash").join(done, "hash")
 
 
 def build_points(points: DataFrame, vectors: DataFrame, sources: list[str], how: str = "sum") -> DataFrame:
-    """(target, point, weight, vec): the combined unit vector of each point; one join per source on its digest."""
+    """(target, point, weight, vec, h_<source>...): the combined unit vector of each point; one join per source on its digest."""
     out = points
     for s in sources:
         out = out.join(vectors.select(F.col("hash").alias(f"h_{s}"), F.col("vec").alias(f"v_{s}")), f"h_{s}", "left")
     cols = [F.col(f"v_{s}") for s in sources]
     combined = vec.combine_sum(cols) if how == "sum" else vec.combine_concat(cols, KEPT)
-    return out.select("target", "point", "weight", combined.alias("vec"))
+    return out.select("target", "point", "weight", combined.alias("vec"), *[f"h_{s}" for s in sources])
 
 
 def variance_rotation(vectors: DataFrame) -> DataFrame:

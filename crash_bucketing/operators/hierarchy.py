@@ -6,6 +6,7 @@ Equal distances merge at once, so no result depends on row order.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -243,6 +244,14 @@ def _local_tree(m_pts: int):
 EDGE = "target string, a long, b long, dist double"
 
 
+def _union(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Tree of the edges of one target. Rows with a = b only name points."""
+    ids = np.unique(np.concatenate([pdf["a"], pdf["b"]]))
+    real = pdf[pdf["a"] != pdf["b"]]
+    edges = kruskal(len(ids), list(zip(np.searchsorted(ids, real["a"]).tolist(), np.searchsorted(ids, real["b"]).tolist(), real["dist"].tolist(), strict=True)))
+    return pd.DataFrame({"target": pdf["target"].iloc[0], "a": ids[[e[0] for e in edges]], "b": ids[[e[1] for e in edges]], "dist": [e[2] for e in edges]}) if edges else pdf.iloc[:0][["target", "a", "b", "dist"]]
+
+
 def spanning_tree(points: DataFrame, strategy: str = "local", blocks: int = 4, m_pts: int = 1) -> DataFrame:
     """(target, a, b, dist), a < b. points: (target, point, vec).
 
@@ -259,35 +268,69 @@ def spanning_tree(points: DataFrame, strategy: str = "local", blocks: int = 4, m
     # every point goes to the `blocks` tiles that its block is part of
     tiles = keep.withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("target", "point", "vec", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     parts = tiles.groupBy("target", "i", "j").applyInPandas(_local_tree(1), EDGE).distinct()
+    return parts.groupBy("target").applyInPandas(_union, EDGE)
+
 
-    def union(pdf: pd.DataFrame) -> pd.DataFrame:
+def components_of(points: DataFrame, edges: DataFrame) -> DataFrame:
+    """(target, point, comp): the least point that edges lead to. points and edges meet by target in one task, 24 bytes a row."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
         ids = np.unique(np.concatenate([pdf["a"], pdf["b"]]))
-        edges = kruskal(len(ids), list(zip(np.searchsorted(ids, pdf["a"]).tolist(), np.searchsorted(ids, pdf["b"]).tolist(), pdf["dist"].tolist(), strict=True)))
-        return pd.DataFrame({"target": pdf["target"].iloc[0], "a": ids[[e[0] for e in edges]], "b": ids[[e[1] for e in edges]], "dist": [e[2] for e in edges]})
+        root = list(range(len(ids)))
 
-    return parts.groupBy("target").applyInPandas(union, EDGE)
+        def find(a: int) -> int:
+            while root[a] != a:
+                root[a] = root[root[a]]
+                a = root[a]
+            return a
 
+        for a, b in zip(np.searchsorted(ids, pdf["a"]).tolist(), np.searchsorted(ids, pdf["b"]).tolist(), strict=True):
+            a, b = sorted((find(a), find(b)))
+            root[b] = a
+        return pd.DataFrame({"target": pdf["target"].iloc[0], "point": ids, "comp": ids[[find(i) for i in range(len(ids))]]})
 
-def approximate_tree(points: DataFrame, planes: int = 6, tables: int = 4, seed: int = 1) -> DataFrame:
-    """Spanning forest over random-hyperplane neighbours, for targets too large for exact trees; `exact` is false.
+    named = points.select("target", F.col("point").alias("a"), F.col("point").alias("b")).union(edges.select("target", "a", "b"))
+    return named.groupBy("target").applyInPandas(run, "target string, point long, comp long")
 
-    Points that share a sign pattern in one of the tables are compared within the pattern (groups of bounded size by more planes);
-    components that no pattern joins stay apart.
-    """
-    dims = points.select(F.size("vec").alias("d")).first()
-    if dims is None:
-        return points.sparkSession.createDataFrame([], EDGE + ", exact boolean")
-    normal = np.random.default_rng(seed).standard_normal((tables, planes, dims["d"]))
-    sides = F.array(*[F.concat(F.lit(f"{t}:"), *[F.when(F.aggregate(F.zip_with("vec", F.array(*[F.lit(float(v)) for v in normal[t, p]]), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) > 0, "1").otherwise("0") for p in range(planes)]) for t in range(tables)])
-    cells = points.select("target", "point", "vec", F.explode(sides).alias("cell"))
-    parts = cells.groupBy("target", "cell").applyInPandas(_local_tree(1), EDGE).distinct()
 
-    def union(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids = np.unique(np.concatenate([pdf["a"], pdf["b"]]))
-        edges = kruskal(len(ids), list(zip(np.searchsorted(ids, pdf["a"]).tolist(), np.searchsorted(ids, pdf["b"]).tolist(), pdf["dist"].tolist(), strict=True)))
-        return pd.DataFrame({"target": pdf["target"].iloc[0], "a": ids[[e[0] for e in edges]], "b": ids[[e[1] for e in edges]], "dist": [e[2] for e in edges]})
+def approximate_tree(points: DataFrame, cell_points: int = 2048, tables: int = 4, seed: int = 1, keep=None) -> DataFrame:
+    """(target, a, b, dist, exact): a spanning tree over random-hyperplane neighbours, for targets too large for exact ones; `exact` is false.
 
-    return parts.groupBy("target").applyInPandas(union, EDGE).withColumn("exact", F.lit(False))
+    Points that share a sign pattern in one of the tables are compared within it. There are as many planes as bring the largest target's
+    cells to some `cell_points` points, and a cell that is still larger is dealt into parts by hash, so no task compares more. What these
+    forests leave apart is joined in rounds: the least points of the components are compared in cells of `cell_points`, which leaves one
+    component for each cell, until every target is one tree. keep: writes a frame once and reads it back (rounds start from it).
+    """
+    keep = keep or (lambda df, _: df)
+    sizes = points.groupBy("target").agg(F.count("*").alias("n"), F.max(F.size("vec")).alias("d"))
+    most = sizes.agg(F.max("n").alias("n"), F.max("d").alias("d")).first()
+    if not most["n"]:
+        return points.sparkSession.createDataFrame([], EDGE + ", exact boolean")
+    planes = max(0, int(np.ceil(np.log2(most["n"] / cell_points))))
+    normal = np.random.default_rng(seed).standard_normal((tables, max(1, planes), most["d"]))
+
+    def cells(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            if len(pdf):
+                bits = (np.einsum("tpd,nd->ntp", normal, _matrix(pdf["vec"])) > 0) @ (1 << np.arange(normal.shape[1])) if planes else np.zeros((len(pdf), tables), dtype=np.int64)
+                yield pd.DataFrame({"target": np.repeat(pdf["target"].to_numpy(), tables), "point": np.repeat(pdf["point"].to_numpy(), tables), "vec": [v for v in pdf["vec"] for _ in range(tables)], "cell": (bits * tables + np.arange(tables)).ravel().astype(np.int64)})
+
+    def trees(celled: DataFrame) -> DataFrame:
+        parts = celled.groupBy("target", "cell").agg(F.ceil(F.count("*") / cell_points).cast("int").alias("parts"))
+        dealt = celled.join(parts, ["target", "cell"]).withColumn("part", F.pmod(F.xxhash64("point"), F.col("parts")))
+        return dealt.groupBy("target", "cell", "part").applyInPandas(_local_tree(1), EDGE)
+
+    rows = points.select("target", "point", "vec")
+    celled = rows.mapInPandas(cells, "target string, point long, vec array<double>, cell long") if planes else rows.withColumn("cell", F.lit(0).cast("long"))
+    forest = keep(trees(celled).distinct().groupBy("target").applyInPandas(_union, EDGE), "forest")
+    while True:
+        comps = keep(components_of(points, forest), "components")
+        apart = comps.where("point = comp").groupBy("target").agg(F.count("*").alias("n")).where("n > 1")
+        if apart.isEmpty():
+            return forest.withColumn("exact", F.lit(False))
+        least = comps.where("point = comp").join(apart.select("target"), "target", "left_semi").select("target", "point")
+        bridges = trees(rows.join(least, ["target", "point"], "left_semi").withColumn("cell", F.lit(0).cast("long")))
+        forest = keep(forest.union(bridges), "forest")
 
 
 def condensed_table(tree: DataFrame, min_size: int = 2) -> DataFrame:

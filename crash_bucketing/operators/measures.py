@@ -47,6 +47,11 @@ def score(assign: DataFrame, truth: DataFrame, over: str = "crashes", exclude: l
         cells = cells.where(~F.col("target").isin(exclude))
     if over == "points":
         cells = cells.withColumn("n", F.lit(1))
+    return score_cells(cells)
+
+
+def score_cells(cells: DataFrame) -> DataFrame:
+    """The same from a contingency table."""
     out = bucket_counts(cells)
     for m in (purity, inverse_purity, f_measure):
         out = out.join(m(cells), "target")
@@ -92,11 +97,12 @@ def flag_best(scores: DataFrame, metric: str) -> DataFrame:
 
 
 class CostLog:
-    """Wall seconds and row counts by stage."""
+    """Wall seconds, row counts and other counters by stage."""
 
     def __init__(self):
         self.seconds: dict[str, float] = {}
         self.observed: dict[str, Observation] = {}
+        self.added: dict[str, int] = {}
 
     @contextmanager
     def stage(self, name: str):
@@ -105,5 +111,13 @@ class CostLog:
         self.seconds[name] = self.seconds.get(name, 0) + time.time() - began
 
     def observe(self, df: DataFrame, name: str) -> DataFrame:
+        """Counts the rows of df as they pass, in the job that uses it anyway."""
         self.observed[name] = Observation(name)
         return df.observe(self.observed[name], F.count(F.lit(1)).alias("rows"))
+
+    def add(self, name: str, value: int) -> None:
+        self.added[name] = self.added.get(name, 0) + int(value)
+
+    def counters(self) -> dict[str, int]:
+        """All counters; the observed frames must have been written."""
+        return {name: o.get["rows"] for name, o in self.observed.items()} | self.added

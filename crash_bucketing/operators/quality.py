@@ -64,15 +64,15 @@ def validity(x: np.ndarray, label: np.ndarray, dist: np.ndarray | None = None) -
     return float((sizes * each).sum() / len(x))
 
 
-def silhouette(x: np.ndarray, label: np.ndarray) -> float:
-    """Mean of (b - a) / max(a, b) with Euclidean distances; a point alone in its cluster has 0."""
+def silhouette(x: np.ndarray, label: np.ndarray, dist: np.ndarray | None = None) -> float:
+    """Mean of (b - a) / max(a, b) with Euclidean distances; a point alone in its cluster has 0. dist: all distances, if held."""
     names, index = np.unique(label, return_inverse=True)
     if len(names) < 2:
         return 0.0
     sizes, total = np.bincount(index), 0.0
     member = np.eye(len(names))[index]
     for a in range(0, len(x), 512):
-        sums = pair_distances(x[a : a + 512], x) @ member
+        sums = (dist[a : a + 512] if dist is not None else pair_distances(x[a : a + 512], x)) @ member
         own = index[a : a + 512]
         rows = np.arange(len(own))
         near = sums[rows, own] / np.maximum(sizes[own] - 1, 1)

@@ -9,10 +9,15 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.hierarchy import NOISE, condense, core_distance, merge_equal, pair_distances, prim
+from ..operators.hierarchy import NOISE, approximate_tree, condense, core_distance, merge_equal, pair_distances, prim, spanning_tree
+from ..operators.quality import HELD
 from .search import assess, choose, search
 
 
+ASSIGNED = "target string, point long, bucket long, epsilon double"
+RUN = "target string, turn int, epsilon double, partition_hash string, n_buckets long, validity double, persistence double"
+
+
 @dataclass(frozen=True)
 class Config:
     min_size: int = 2
@@ -42,21 +47,38 @@ def runs_of(pdf: pd.DataFrame, config: Config):
     return pdf, x, index, h, assess(found, h, x)
 
 
+def _run_rows(target: str, found: list) -> pd.DataFrame:
+    return pd.DataFrame([(target, r.turn, r.epsilon, r.digest, r.buckets, r.validity, r.persistence) for r in found], columns=["target", "turn", "epsilon", "partition_hash", "n_buckets", "validity", "persistence"])
+
+
 def search_runs(points: DataFrame, config: Config = Config()) -> DataFrame:
     """(target, turn, epsilon, partition_hash, n_buckets, validity, persistence) of every evaluation."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf, *_, found = runs_of(pdf, config)
-        return pd.DataFrame([(pdf["target"].iloc[0], r.turn, r.epsilon, r.digest, r.buckets, r.validity, r.persistence) for r in found], columns=["target", "turn", "epsilon", "partition_hash", "n_buckets", "validity", "persistence"])
+        return _run_rows(pdf["target"].iloc[0], found)
+
+    return points.select("target", "point", "vec").groupBy("target").applyInPandas(run, RUN)
 
-    return points.select("target", "point", "vec").groupBy("target").applyInPandas(run, "target string, turn int, epsilon double, partition_hash string, n_buckets long, validity double, persistence double")
+
+def _named(label: np.ndarray, index: np.ndarray) -> np.ndarray:
+    """Buckets of all points from those of the distinct ones: equal vectors share a bucket even where their common point is noise."""
+    size, fresh, label = np.bincount(index), label.max(initial=-1) + 1, label.copy()
+    for k in np.flatnonzero((label == NOISE) & (size > 1)):
+        label[k] = fresh
+        fresh += 1
+    return label[index].astype(np.int64)
+
+
+def _without_vector(points: DataFrame) -> DataFrame:
+    return points.where("vec is null").select("target", "point", F.lit(NOISE).cast("long").alias("bucket"), F.lit(0.0).alias("epsilon"))
 
 
 def bucket(points: DataFrame, config: Config = Config(), epsilon: float | None = None) -> DataFrame:
     """(target, point, bucket, epsilon). points: (target, point, vec). Bucket -1 is noise; null vectors come back as noise.
 
     With `epsilon` the floor is fixed; else it is searched for. No points give no rows, one point is one bucket. A target is one task,
-    with memory linear in its distinct points; a giant target goes through `spanning_tree(strategy='tiles')` first.
+    with memory linear in its distinct points; `bucket_any` sends larger targets another way.
     """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -67,18 +89,107 @@ def bucket(points: DataFrame, config: Config = Config(), epsilon: float | None =
         else:
             pdf, x, index, _, h = _prepare(pdf, config)
             label, eps = (h.hybrid(epsilon, config.root_mode, config.start)[0] if len(x) > 1 else np.zeros(len(x), dtype=np.int64)), epsilon
-        # equal vectors share a bucket even where their common point is noise
-        size = np.bincount(index)
-        fresh = label.max(initial=-1) + 1
-        label = label.copy()
-        for k in np.flatnonzero((label == NOISE) & (size > 1)):
-            label[k] = fresh
-            fresh += 1
-        return pd.DataFrame({"target": pdf["target"].to_numpy(), "point": pdf["point"].to_numpy(), "bucket": label[index].astype(np.int64), "epsilon": float(eps)})
-
-    schema = "target string, point long, bucket long, epsilon double"
-    good = points.where("vec is not null").select("target", "point", "vec").groupBy("target").applyInPandas(run, schema)
-    return good.unionByName(points.where("vec is null").select("target", "point", F.lit(NOISE).cast("long").alias("bucket"), F.lit(0.0).alias("epsilon")))
+        return pd.DataFrame({"target": pdf["target"].to_numpy(), "point": pdf["point"].to_numpy(), "bucket": _named(label, index), "epsilon": float(eps)})
+
+    good = points.where("vec is not null").select("target", "point", "vec").groupBy("target").applyInPandas(run, ASSIGNED)
+    return good.unionByName(_without_vector(points))
+
+
+class FromTree:
+    """One target's hierarchy from the edges of its tree; vectors are there for a sample only, which the validity is measured on.
+
+    Edges of length zero join equal points first, as the direct way does. The search runs up to twice the largest distance of a sampled point
+    from their mean, which is no less than any distance of the sample; above the tree's largest edge nothing changes anyway.
+    """
+
+    def __init__(self, edges: pd.DataFrame, some: pd.DataFrame, config: Config):
+        self.config = config
+        self.ids = np.unique(np.concatenate([edges["a"], edges["b"], some["point"]]).astype(np.int64))
+        at = lambda c: np.searchsorted(self.ids, c)
+        rows = list(zip(at(edges["a"]).tolist(), at(edges["b"]).tolist(), edges["dist"].tolist(), strict=True))
+        root = np.arange(len(self.ids))
+
+        def find(a: int) -> int:
+            while root[a] != a:
+                root[a] = root[root[a]]
+                a = root[a]
+            return int(a)
+
+        for a, b, d in rows:
+            if d == 0:
+                a, b = sorted((find(a), find(b)))
+                root[b] = a
+        firsts, self.index = np.unique([find(i) for i in range(len(self.ids))], return_inverse=True)
+        self.tree = sorted(((int(self.index[a]), int(self.index[b]), d) for a, b, d in rows if d > 0), key=lambda e: (e[2], e[0], e[1]))
+        self.n = len(firsts)
+        self.h = condense(self.n, self.tree, config.min_size)
+        picked, order = np.unique(self.index[at(some["point"])], return_index=True)
+        self.sampled = picked
+        self.x = np.array(some["vec"].tolist(), dtype=np.float64)[order] if len(some) else np.zeros((0, 1))
+
+    def runs(self) -> list:
+        if self.n < 2:
+            return []
+        wide = 2 * float(np.sqrt(((self.x - self.x.mean(axis=0)) ** 2).sum(axis=1)).max()) if len(self.x) else 0.0
+        high = furthest(self.x) if len(self.x) == self.n else max(wide, self.tree[-1][2])
+        found = search(lambda eps: self.h.hybrid(eps, self.config.root_mode, self.config.start), self.tree[0][2], high, self.config.num_steps)
+        return assess(found, self.h, self.x, self.sampled)
+
+
+def _from_tree(points: DataFrame, tree: DataFrame, config: Config, sample: int, then, schema: str) -> DataFrame:
+    """then(target, FromTree) for each target: its edges, and about `sample` of its points by hash, meet in one task (24 bytes an edge)."""
+    sizes = points.groupBy("target").agg(F.count("*").alias("n"))
+    some = points.join(sizes, "target").where(F.pmod(F.xxhash64("point"), F.lit(1 << 30)) * F.col("n") < F.lit(float(sample) * (1 << 30)))
+
+    def run(edges: pd.DataFrame, some: pd.DataFrame) -> pd.DataFrame:
+        some = some.sort_values("point")
+        return then((edges if len(edges) else some)["target"].iloc[0], FromTree(edges, some, config))
+
+    return tree.select("target", "a", "b", "dist").groupBy("target").cogroup(some.select("target", "point", "vec").groupBy("target")).applyInPandas(run, schema)
+
+
+def search_runs_from_tree(points: DataFrame, tree: DataFrame, config: Config = Config(), sample: int = HELD) -> DataFrame:
+    """The same as search_runs, from a stored tree; validity on a sample of each target's points."""
+    return _from_tree(points, tree, config, sample, lambda target, t: _run_rows(target, t.runs()), RUN)
+
+
+def bucket_from_tree(points: DataFrame, tree: DataFrame, config: Config = Config(), epsilon: float | None = None, sample: int = HELD) -> DataFrame:
+    """The same as bucket, for targets whose tree (target, a, b, dist) is already there: no distance is computed again.
+
+    Validity is measured on about `sample` points of each target, chosen by hash (all, if there are no more; sizes of buckets then weigh as in the
+    sample). Points without edges (a target of one point) are one bucket.
+    """
+
+    def name(target: str, t: FromTree) -> pd.DataFrame:
+        if epsilon is None:
+            best = choose(found) if (found := t.runs()) else None
+            label, eps = (best.label, best.epsilon) if best else (np.zeros(t.n, dtype=np.int64), 0.0)
+        else:
+            label, eps = (t.h.hybrid(epsilon, config.root_mode, config.start)[0] if t.n > 1 else np.zeros(t.n, dtype=np.int64)), epsilon
+        return pd.DataFrame({"target": target, "point": t.ids, "bucket": _named(label, t.index), "epsilon": float(eps)})
+
+    good = points.where("vec is not null")
+    return _from_tree(good, tree, config, sample, name, ASSIGNED).unionByName(_without_vector(points))
+
+
+def bucket_any(points: DataFrame, config: Config = Config(), local: int = 20_000, exact: int = 1_000_000, block: int = 5_000, sample: int = HELD, keep=None) -> DataFrame:
+    """bucket for targets of any size, the way chosen by counted points: up to `local` one task does it all; up to `exact` the tree comes from tiles of
+    `block` points, beyond from neighbours in random cells (then approximate), and buckets come from the tree. Adds `exact`: false where the tree
+    is approximate or the validity sampled. The driver sees the largest size of each way, no rows."""
+    keep = keep or (lambda df, _: df)
+    sizes = points.groupBy("target").agg(F.count("*").alias("n")).withColumn("way", F.when(F.col("n") <= local, "local").when(F.col("n") <= exact, "tiles").otherwise("graph"))
+    most = {r["way"]: r["n"] for r in sizes.groupBy("way").agg(F.max("n").alias("n")).collect()}
+    out = None
+    for way, n in sorted(most.items()):
+        some = points.join(sizes.where(F.col("way") == way).select("target"), "target", "left_semi")
+        if way == "local":
+            got = bucket(some, config).withColumn("exact", F.lit(True))
+        else:
+            good = some.where("vec is not null")
+            tree = spanning_tree(good, "tiles", blocks=max(2, -(-n // block))) if way == "tiles" else approximate_tree(good, keep=keep)
+            got = bucket_from_tree(some, keep(tree, "tree"), config, sample=sample).withColumn("exact", F.lit(way == "tiles" and n <= sample))
+        out = got if out is None else out.unionByName(got)
+    return out if out is not None else bucket(points, config).withColumn("exact", F.lit(True))
 
 
 def own_buckets(assigned: DataFrame) -> DataFrame:

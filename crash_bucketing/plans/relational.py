@@ -9,13 +9,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import frames as fr
 from ..functions import sqlfuncs
 from ..functions import vectors as vec
 from ..operators import neighbours as nb
-from ..sources.tables import SCHEMAS, load, register
+from ..sources import corpus
+from ..sources.tables import SCHEMAS, WRITTEN, load, read_trace_files, register, write_points, write_trace_files
 from ..streaming import arrivals as st
 from . import workloads as wl
-from .registry import PAIRS_SQL, Query
+from .registry import A_SQL, LINES_SQL, PAIRS_SQL, PARSED_SQL, POINTS_SQL, Query, _no_args
 
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
@@ -56,13 +58,50 @@ def o03(spark, sf_dir):
     return spark.read.schema("event_id long, event_type string, value double").json(path).select("event_id", "event_type", F.round("value", 6).alias("value"))
 
 
+@query("o02_trace_files", "select doc_id::varchar as crash_id, lang as target, md5(text) as digest from documents where text is not null and lang is not null")
+def o02(spark, sf_dir):
+    """Documents written as files of a directory, one a crash in a folder for each target, and read back."""
+    folder = f"{wl.scratch(spark)}-files"
+    write_trace_files(corpus.document_crashes(spark, sf_dir).where("trace is not null and target is not null"), folder)
+    return read_trace_files(spark, folder, **WRITTEN).select("crash_id", "target", F.md5("trace").alias("digest"))
+
+
+def _back(spark, rows: DataFrame, kind: str, **options: str) -> DataFrame:
+    """Written in a format and read back with the schema given."""
+    path = f"{wl.scratch(spark)}-{kind}"
+    rows.write.format(kind).options(**options).save(path)
+    return spark.read.schema(rows.schema).format(kind).options(**options).load(path)
+
+
+for _kind in ("csv", "orc"):
+
+    @query(f"o03_{_kind}", "select event_id, event_type, round(value, 6) as value, props from events")
+    def _o03(spark, sf_dir, kind=_kind):
+        rows = t(spark, sf_dir, "events").select("event_id", "event_type", "value", "props")
+        return _back(spark, rows, kind, **({"header": "true", "quote": '"', "escape": '"'} if kind == "csv" else {})).withColumn("value", F.round("value", 6))
+
+
 @query("o04_partitioned_sink", "select o_orderpriority as target, count(*) as n from orders where o_orderpriority = '2-HIGH' group by 1")
 def o04(spark, sf_dir):
     path = f"{wl.scratch(spark)}-parts"
-    t(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("target"), "o_orderkey").write.partitionBy("target").parquet(path)
+    write_points(t(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("target"), "o_orderkey"), path)
     return spark.read.parquet(path).where("target = '2-HIGH'").groupBy("target").agg(F.count("*").alias("n"))
 
 
+@query("o04_bucketed_sink", "select c_mktsegment, count(*) as n, round(sum(o_totalprice), 2) as total from orders join customer on o_custkey = c_custkey group by 1")
+def o04_bucketed(spark, sf_dir):
+    """Both sides written in as many buckets of the join key: the join needs no shuffle."""
+    place, names = wl.scratch(spark), []
+    for name, key in (("orders", "o_custkey"), ("customer", "c_custkey")):
+        names.append(f"bucketed_{name}_{place.rsplit('-', 1)[1][:12]}")
+        t(spark, sf_dir, name).write.bucketBy(8, key).sortBy(key).option("path", f"{place}-{name}").saveAsTable(names[-1])
+    both_sides = spark.table(names[0]).hint("merge").join(spark.table(names[1]), F.col("o_custkey") == F.col("c_custkey"))
+    out = wl.stored(both_sides.groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total")), "joined")
+    for name in names:
+        spark.sql(f"drop table {name}")
+    return out
+
+
 @query("o05_store_compaction", "select sha256(text) as hash, count(*) as copies from documents group by 1")
 def o05(spark, sf_dir):
     path = wl.scratch(spark)
@@ -170,6 +209,20 @@ def o29(spark, sf_dir):
     return t(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_quantity", 0.5).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("l_suppkey")).alias("suppliers"))
 
 
+@query("o29_distinct_sketches", "select l_returnflag, true as parts, true as suppliers, true as median, true as top from lineitem group by l_returnflag")
+def o29_checked(spark, sf_dir):
+    """Sketches of three kinds and approximate most frequent items, each against the exact answer: within three per cent, and the same most frequent item."""
+    lines = t(spark, sf_dir, "lineitem")
+    rough = lines.groupBy("l_returnflag").agg(
+        F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("parts"), F.hll_sketch_estimate(F.hll_sketch_agg("l_suppkey")).alias("suppliers"),
+        F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("l_quantity"), F.lit(0.5)).alias("median"), F.expr("approx_top_k(l_linenumber, 1, 100)").alias("top"))
+    exact = lines.groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("parts0"), F.countDistinct("l_suppkey").alias("suppliers0"), F.expr("percentile(l_quantity, 0.5)").alias("median0"), F.mode("l_linenumber").alias("top0"), F.max("l_quantity").alias("most"))
+    most = lines.groupBy("l_returnflag", "l_linenumber").agg(F.count("*").alias("k")).groupBy("l_returnflag").agg(F.max("k").alias("most_rows"))
+    near = lambda a, b: F.abs(F.col(a) - F.col(b)) <= 0.03 * F.col(b) + 1e-9
+    both_of = rough.join(exact, "l_returnflag").join(most, "l_returnflag")
+    return both_of.select("l_returnflag", near("parts", "parts0").alias("parts"), near("suppliers", "suppliers0").alias("suppliers"), (F.abs(F.col("median") - F.col("median0")) <= 0.03 * F.col("most")).alias("median"), (F.col("top")[0]["count"] == F.col("most_rows")).alias("top"))
+
+
 both("o30_bitmap_distinct", "select sum(n) as n from (select bitmap_bucket_number(o_custkey) as b, bitmap_count(bitmap_construct_agg(bitmap_bit_position(o_custkey))) as n from orders group by 1)", "select count(distinct o_custkey) as n from orders")
 
 # ---------------------------------------------------------------- windows, sorts, sets
@@ -225,6 +278,21 @@ def o45(spark, sf_dir):
     return spark.sql("select vec_id, round(sqrt(dot_product(cast(embedding as array<double>), cast(embedding as array<double>))), 6) as length from embeddings")
 
 
+@query("o45_sql_trace_functions", f"with {LINES_SQL} select crash_id, md5(string_agg({_no_args('line')}, chr(10) order by pos)) as digest from k group by crash_id")
+def o45_traces(spark, sf_dir):
+    """The argument-free trace by the SQL function: the same text as the column form gives."""
+    sqlfuncs.register(spark)
+    fr.collapse_lines(corpus.planted(spark, sf_dir)).createOrReplaceTempView("collapsed")
+    return spark.sql("select crash_id, md5(coarse_trace(lines)) as digest from collapsed")
+
+
+@query("o45_sql_normalise", "select vec_id, round(list_inner_product(u, u), 6) as length, round(u[1], 6) as first from (select vec_id, list_transform(v, lambda x: x / sqrt(list_inner_product(v, v))) as u from (select vec_id, embedding[1:16]::double[] as v from embeddings))")
+def o45_normalise(spark, sf_dir):
+    sqlfuncs.register(spark)
+    register(spark, sf_dir, "embeddings")
+    return spark.sql("select vec_id, round(dot_product(u, u), 6) as length, round(u[0], 6) as first from (select vec_id, l2_normalise(truncate_vec(cast(embedding as array<double>), 16)) as u from embeddings)")
+
+
 @query("o46_arrow_function")
 def o46(spark, sf_dir):
     return t(spark, sf_dir, "documents").select("doc_id", sqlfuncs.hash_embed(F.col("text")).alias("vec"))
@@ -235,6 +303,29 @@ def o47(spark, sf_dir):
     return t(spark, sf_dir, "embeddings").groupBy("label").agg(sqlfuncs.vec_mean(F.col("embedding")).alias("m")).select("label", F.round(F.col("m")[0], 6).alias("first"))
 
 
+@query("o47_grouped_sum", "select label, round(sum(embedding[1]), 5) as first from embeddings group by label")
+def o47_sum(spark, sf_dir):
+    return t(spark, sf_dir, "embeddings").groupBy("label").agg(sqlfuncs.vec_sum(F.col("embedding")).alias("m")).select("label", F.round(F.col("m")[0], 5).alias("first"))
+
+
+@query("o48_explode_frames", f"with {PARSED_SQL.replace(LINES_SQL, LINES_SQL.replace('where copy = 1', ''))} select crash_id, (pos - 1)::int as pos, idx, func, site from p")
+def o48(spark, sf_dir):
+    sqlfuncs.register(spark)
+    corpus.planted(spark, sf_dir).createOrReplaceTempView("crashes")
+    return spark.sql("select crash_id, x.pos, x.idx, x.func, x.site from crashes, lateral explode_frames(trace) x")
+
+
+@query("o49_apply_in_arrow", "select o_orderpriority as target, count(*) as n, round(sum(o_totalprice), 2) as total from orders group by 1")
+def o49_arrow(spark, sf_dir):
+    def run(group: pa.Table) -> pa.Table:
+        import pyarrow.compute as pc
+
+        return pa.table({"target": [group.column("target")[0].as_py()], "n": [group.num_rows], "total": [pc.sum(group.column("price")).as_py()]})
+
+    orders = t(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("target"), F.col("o_totalprice").alias("price"))
+    return orders.groupBy("target").applyInArrow(run, "target string, n long, total double").withColumn("total", F.round("total", 2))
+
+
 @query("o49_map_in_arrow", "select doc_id, strlen(text) as n from documents")
 def o49(spark, sf_dir):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -310,7 +401,13 @@ query("o56_arrival_half", "select crash_id, target from (select o_orderkey as cr
 query("w14_prepare_stream", ORACLES["o56_arrival_half"])(st.arrival_half)
 query("o57_first_seen", "select event_type || ':' || cast(json_extract_string(props, '$.k') as int) as key from events group by 1")(st.first_seen)
 query("o58_tumbling", "select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, event_type, count(*) as n from events where date_trunc('day', ts) < (select date_trunc('day', max(ts)) from events) group by all")(st.tumbling)
-query("o59_late_rows")(st.late_rows)
-query("o60_trace_assembly", "select user_id, event_id as error_id, (select count(*) from events x where x.user_id = e.user_id and x.event_id < e.event_id and x.event_id > coalesce((select max(p.event_id) from events p where p.user_id = e.user_id and p.event_type = 'error' and p.event_id < e.event_id), -1)) as n from events e where event_type = 'error'")(st.trace_assembly)
+query("o58_sliding", "with w as (select event_type, unnest([epoch(ts)::bigint // 43200 * 43200, epoch(ts)::bigint // 43200 * 43200 - 43200]) as s from events) select strftime(make_timestamp(s * 1000000), '%Y-%m-%d %H') as start, event_type, count(*) as n from w where make_timestamp((s + 86400) * 1000000) <= (select max(ts) from events) group by all")(st.sliding)
+query("o58_sessions", "with e as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minutes then 0 else 1 end as fresh from events), g as (select *, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as s from e) select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') as first, count(*) as n from g group by user_id, s having max(ts) + interval 30 minutes <= (select max(ts) from events)")(st.sessions)
+query("o59_late_rows", "with m as (select make_timestamp((epoch_us(min(ts)) + epoch_us(max(ts))) // 2) as middle, max(ts) as last from events) select event_type, count(*) as rows, count(*) filter (ts >= middle and date_trunc('hour', ts) + interval 1 hour <= last - interval 1 day) as in_time, true as only_newer from events, m group by event_type")(st.late_rows)
+query("o60_trace_assembly", "with e as (select event_id, user_id, event_type, event_type || ':' || cast(json_extract_string(props, '$.k') as int) as frame, coalesce(sum(case when event_type = 'error' then 1 else 0 end) over (partition by user_id order by event_id rows between unbounded preceding and 1 preceding), 0) as s from events), r as (select *, row_number() over (partition by user_id, s order by event_id desc) as r from e where event_type <> 'error'), x as (select user_id, s, string_agg(frame, chr(10) order by r) as trace from r where r <= 5 group by all) select e.user_id, event_id as error_id, coalesce(trace, '') as trace from e left join x on x.user_id = e.user_id and x.s = e.s where event_type = 'error'")(st.trace_assembly)
+query("o61_stream_stream", "select e.event_id as error_id, p.event_id from events e join events p on p.user_id = e.user_id and p.ts >= e.ts - interval 1 hour and p.ts < e.ts where e.event_type = 'error' and p.event_type = 'purchase'")(st.stream_stream)
+query("o56_arrival_points", f"with {POINTS_SQL} select target, point, weight, 64 as width from points")(lambda spark, sf_dir: st.planted_arrivals(spark, sf_dir).select("target", "point", "weight", F.size("vec").alias("width")))
+query("w14_arrived_buckets")(st.arrived_buckets)
+query("o62_assigned_at_arrival", ORACLES["o53_assign_new"])(st.assigned_at_arrival)
 query("o61_stream_static", "select event_id, u.n from events e join (select user_id, count(*) as n from events group by user_id) u using (user_id) where event_type = 'error'")(st.stream_static)
 query("w14_stream_equals_batch")(st.stream_equals_batch)

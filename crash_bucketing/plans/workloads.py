@@ -13,10 +13,10 @@ from ..functions import vectors as vec
 from ..operators import baselines as base
 from ..operators import measures as ms
 from ..operators.collapse import SOURCE_CONFIGS, collapse_exact
-from ..operators.embed import MODELS, Embedder, build_points, embed_with_store, texts_by_hash
+from ..operators.embed import MODELS, Embedder, build_points, embed_with_store, missing_texts, texts_by_hash
 from ..sources import corpus
 from ..sources.tables import load
-from .bucketer import Config, bucket, expand
+from .bucketer import Config, bucket_any, expand, search_runs
 
 
 def scratch(spark: SparkSession) -> str:
@@ -36,23 +36,23 @@ def vectors_of(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "embeddings").select(F.lit("all").alias("target"), F.col("vec_id").alias("point"), vec.l2_normalise(vec.as_double(F.col("embedding"))).alias("vec"))
 
 
-def planted_points(spark: SparkSession, sf_dir: str, config: str = "all", embedder: Embedder | None = None, how: str = "sum", store: str | None = None) -> tuple[DataFrame, DataFrame]:
+def planted_points(spark: SparkSession, sf_dir: str, config: str = "all", embedder: Embedder | None = None, how: str = "sum", store: str | None = None, hard: bool = False) -> tuple[DataFrame, DataFrame]:
     """(points with vectors, members) of corpus A for a source configuration."""
     sources = SOURCE_CONFIGS[config]
-    prepared = stored(corpus.prepared(corpus.planted(spark, sf_dir)).select("crash_id", "target", *sources), "prepared")
+    prepared = stored(corpus.prepared(corpus.planted(spark, sf_dir, hard)).select("crash_id", "target", *sources), "prepared")
     points, members = collapse_exact(prepared, sources)
     points, members = stored(points, "points"), stored(members, "members")
     vectors = embed_with_store(texts_by_hash(prepared, sources), embedder or MODELS["hosted_3072"], store or f"{scratch(spark)}-store")
-    return stored(build_points(points, vectors, sources, how), "vectors"), members
+    return stored(build_points(points, vectors, sources, how).select("target", "point", "weight", "vec"), "vectors"), members
 
 
-def planted_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return corpus.planted(spark, sf_dir).select("target", "crash_id", "label")
+def planted_truth(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
+    return corpus.planted(spark, sf_dir, hard).select("target", "crash_id", "label")
 
 
-def planted_buckets(spark: SparkSession, sf_dir: str, config: str = "all", embedder: Embedder | None = None, search: Config = Config()) -> DataFrame:
-    points, members = planted_points(spark, sf_dir, config, embedder)
-    return expand(bucket(points, search), members)
+def planted_buckets(spark: SparkSession, sf_dir: str, config: str = "all", embedder: Embedder | None = None, search: Config = Config(), hard: bool = False) -> DataFrame:
+    points, members = planted_points(spark, sf_dir, config, embedder, hard=hard)
+    return expand(bucket_any(points, search, keep=stored), members)
 
 
 def planted_scores(spark: SparkSession, sf_dir: str, config: str = "all", embedder: Embedder | None = None) -> DataFrame:
@@ -66,31 +66,100 @@ def planted_clusterer(spark: SparkSession, sf_dir: str, method: str) -> DataFram
     return ms.score(expand(run(points), members), planted_truth(spark, sf_dir))
 
 
-def framed(spark: SparkSession, sf_dir: str) -> DataFrame:
+def framed(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
     """Corpus A with parsed frames after repeats are dropped."""
-    return fr.once(fr.collapse_lines(corpus.planted(spark, sf_dir)), frames=fr.parse_lines(F.col("lines")))
+    return fr.once(fr.collapse_lines(corpus.planted(spark, sf_dir, hard)), frames=fr.parse_lines(F.col("lines")))
 
 
-def planted_stack_hash(spark: SparkSession, sf_dir: str, top_n: int | None = None) -> DataFrame:
-    return base.stack_hash(framed(spark, sf_dir), ("func", "site"), top_n)
+def planted_stack_hash(spark: SparkSession, sf_dir: str, top_n: int | None = None, hard: bool = False) -> DataFrame:
+    return base.stack_hash(fr.collapse_lines(corpus.planted(spark, sf_dir, hard)), ("func", "site"), top_n)
 
 
-def planted_cfg(spark: SparkSession, sf_dir: str, similarity: str = "edge_jaccard", fallback: bool = True) -> DataFrame:
+def functions_of(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
+    """(target, crash_id, pos, func, idx): functions of each crash's frames in order. Functions are cut out of the whole trace, no frame is parsed."""
+    crashes = fr.once(fr.collapse_lines(corpus.planted(spark, sf_dir, hard)), names=F.split(fr.places(F.col("lines")), "\n"))
+    both = F.arrays_zip(F.transform("names", lambda x: F.regexp_replace(x, r"\|[^|]*$", "")).alias("func"), F.transform("lines", lambda x: F.regexp_extract(x, r"^\s*#(\d+)\s", 1).try_cast("int")).alias("idx"))
+    return crashes.select("target", "crash_id", F.posexplode(both).alias("pos", "x")).select("target", "crash_id", "pos", "x.func", "x.idx")
+
+
+def planted_cfg(spark: SparkSession, sf_dir: str, similarity: str = "edge_jaccard", fallback: bool = True, hard: bool = False) -> DataFrame:
     """Graph buckets; with fallback, whichever of these and stack hashing has fewer per target."""
-    crashes = framed(spark, sf_dir)
-    nodes = crashes.select("target", "crash_id", F.posexplode(F.transform("frames", lambda f: F.coalesce(f["func"], f["raw"]))).alias("pos", "node"))
-    edges = base.edges_of(nodes, "pos", "node")
-    features = edges.select("target", "crash_id", F.col("edge").alias("feature")) if similarity == "edge_jaccard" else base.wl_labels(edges)
-    own = base.cfg_buckets(features)
-    return base.fewer_clusters(own, base.stack_hash(crashes)) if fallback else own
-
-
-def planted_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mutual-information buckets of corpus A: functions as blocks; each target's crashes of other bugs serve as contrast runs."""
-    crashes = framed(spark, sf_dir)
-    named = crashes.select("target", "crash_id", F.explode(F.array_distinct(F.transform("frames", lambda f: F.coalesce(f["func"], f["raw"])))).alias("block"))
-    blocks = named.select(F.col("crash_id").alias("run_id"), F.concat_ws("/", "target", "block").alias("block"), (F.col("crash_id") % 2 == 0).alias("crashed"))
-    return base.mutual_information_buckets(blocks)
+    edges = base.edges_of(functions_of(spark, sf_dir, hard), "pos", "func")
+    features = edges.select("target", "crash_id", F.col("edge").alias("feature")) if similarity == "edge_jaccard" else base.wl_labels(stored(edges, "edges"))
+    own = stored(base.cfg_buckets(stored(features, "features")), "graphs")
+    return base.fewer_clusters(own, stored(planted_stack_hash(spark, sf_dir, hard=hard), "hashes")) if fallback else own
+
+
+def planted_blocks(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
+    """(target, run_id, block, crashed), functions as blocks. A healthy run stands for each crash: it takes the same way in, down to the sixth frame of the
+    bug, and never reaches the frames above."""
+    named = functions_of(spark, sf_dir, hard).where("func <> ''")
+    healthy = named.where("idx >= 7 and func not like 'walk%'")
+    each = lambda df, run, crashed: df.select("target", run.alias("run_id"), F.col("func").alias("block"), F.lit(crashed).alias("crashed")).distinct()
+    return each(named, F.col("crash_id"), True).union(each(healthy, -F.col("crash_id") - 1, False))
+
+
+def planted_mutual_information(spark: SparkSession, sf_dir: str, top_m: int = 16, hard: bool = False) -> DataFrame:
+    """(target, crash_id, bucket): the top_m blocks of each target decide."""
+    blocks = stored(planted_blocks(spark, sf_dir, hard), "blocks")
+    return base.mutual_information_buckets(blocks, top_m, by=("target",)).select("target", F.col("run_id").alias("crash_id"), "bucket")
+
+
+#: The workflow and the methods that it is compared with: buckets (target, crash_id, bucket) on corpus A.
+METHODS = {
+    "workflow": lambda spark, sf_dir, hard: planted_buckets(spark, sf_dir, hard=hard),
+    "stack_hash": lambda spark, sf_dir, hard: planted_stack_hash(spark, sf_dir, hard=hard),
+    "mutual_information": lambda spark, sf_dir, hard: planted_mutual_information(spark, sf_dir, hard=hard),
+    "cfg_similarity": lambda spark, sf_dir, hard: planted_cfg(spark, sf_dir, hard=hard),
+}
+
+
+def compared(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
+    """(method, target, label, bucket, n): the contingency tables of all four methods on the same crashes."""
+    truth, out = stored(planted_truth(spark, sf_dir, hard), "truth"), None
+    for name, run in METHODS.items():
+        cells = ms.contingency(run(spark, sf_dir, hard), truth).select(F.lit(name).alias("method"), "*")
+        out = cells if out is None else out.unionByName(cells)
+    return stored(out, "compared")
+
+
+def method_scores(cells: DataFrame) -> DataFrame:
+    """(method, target, n_bugs, n_buckets, purity, inverse_purity, f_measure) of compared methods, one plan for all."""
+    named = cells.select(F.struct("method", "target").alias("target"), "label", "bucket", "n")
+    return ms.score_cells(named).select("target.method", "target.target", "n_bugs", "n_buckets", "purity", "inverse_purity", "f_measure")
+
+
+def method_type_reports(cells: DataFrame, types: DataFrame) -> DataFrame:
+    """(method, level, name, n, over_mean, over_sd, under_mean, under_sd): the report by bug type for each method."""
+    out = None
+    for name in METHODS:
+        one = ms.type_report(ms.label_scores(cells.where(F.col("method") == name).drop("method")), types).select(F.lit(name).alias("method"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def planted_costs(spark: SparkSession, sf_dir: str, config: Config = Config()) -> DataFrame:
+    """(counter, value) of one run of the workflow: what was embedded, what the store spared, distances, selections made and spared by the search."""
+    sources = SOURCE_CONFIGS["all"]
+    log = ms.CostLog()
+    prepared = stored(log.observe(corpus.prepared(corpus.planted(spark, sf_dir)).select("crash_id", "target", *sources), "crashes"), "prepared")
+    points, _ = collapse_exact(prepared, sources)
+    points, store, model = stored(log.observe(points, "points"), "points"), f"{scratch(spark)}-store", MODELS["hosted_3072"]
+    texts = stored(log.observe(texts_by_hash(prepared, sources), "texts"), "texts")
+    vectors = embed_with_store(texts, model, store)
+    log.add("text_bytes", texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0)
+    log.add("text_references", points.agg(*[F.count(f"h_{s}").alias(s) for s in sources]).select(sum((F.col(s) for s in sources), F.lit(0))).first()[0])
+    again = missing_texts(texts, spark.read.parquet(f"{store}/model={model.name}")).count()
+    log.add("embedded_again", again)
+    log.add("store_hits_again", texts.count() - again)
+    built = stored(build_points(points, vectors, sources), "built")
+    runs = search_runs(built, config).agg(F.count("*").alias("made"), F.countDistinct("target", "partition_hash").alias("different")).first()
+    targets = built.groupBy("target").agg(F.countDistinct("vec").alias("n")).agg(F.sum(F.col("n") * (F.col("n") - 1) / 2).cast("long").alias("pairs"), F.count_if(F.col("n") > 1).alias("k")).first()
+    log.add("distance_evaluations", targets["pairs"])
+    log.add("selections_made", runs["made"])
+    log.add("selections_spared", 2 * config.num_steps * targets["k"] - runs["made"])
+    log.add("partitions_assessed", runs["different"])
+    return spark.createDataFrame(sorted(log.counters().items()), "counter string, value long")
 
 
 def clean_truth(truth: DataFrame, merges: DataFrame, dropped: DataFrame) -> DataFrame:

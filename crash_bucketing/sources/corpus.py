@@ -22,13 +22,18 @@ def _joined(dialect: str, count: str, body: str) -> str:
     return f"array_to_string(list_transform(range(1, {count} + 1), lambda i: {body}), chr(10))"
 
 
-def planted_sql(dialect: str = "spark") -> str:
-    """SELECT of crash_id, target, trace, report, label, input_name, bug_key over orders and lineitem."""
+def planted_sql(dialect: str = "spark", hard: bool = False) -> str:
+    """SELECT of crash_id, target, trace, report, label, input_name, bug_key over orders and lineitem.
+
+    hard: two neighbouring bugs share their three outer frames, and the outermost two of these come in three shapes, so that one bug has several
+    call paths and two bugs have nearly one.
+    """
     bugs = "case substr(o_orderpriority, 1, 1) " + " ".join(f"when '{k}' then {n}" for k, n in BUGS.items()) + " end"
     kinds = "case cast((instr('0123456789abcdef', substr(md5(bug_key), 1, 1)) - 1) % 6 as int) " + " ".join(f"when {i} then '{k}'" for i, k in enumerate(KINDS)) + " end"
 
     def bug_frame(d: int) -> str:
-        h = f"md5(concat(bug_key, '/', {d}))"
+        key = "bug_key" if not hard or d <= 5 else "pair_key" if d == 6 else "concat(pair_key, '/', shape)"
+        h = f"md5(concat({key}, '/', {d}))"
         name = f"concat('fn_', substr({h}, 1, 6){', ' + repr('<int>') if d % 5 == 0 else ''})"
         nested = ", ', cb=(fn (*)(int))'" if d % 3 == 0 else ""
         gap = "chr(10), '    at'" if d % 4 == 0 else "' at'"
@@ -46,9 +51,10 @@ with counted as (
     from orders left join (select l_orderkey, cast(count(*) as int) as n from lineitem group by l_orderkey) l on l_orderkey = o_orderkey
 ), placed as (
     select o_orderkey as crash_id, target, cast(o_custkey % bugs as int) as bug, cast(o_orderkey % 7 as int) as seed,
-        cast(cast(floor(o_orderkey / 8) as bigint) % 3 as int) as variant, cast(case when o_orderkey % {DEEP} = 0 then {DEPTH} else n end as int) as depth from counted
+        cast(cast(floor(o_orderkey / 8) as bigint) % 3 as int) as variant, cast(case when o_orderkey % {DEEP} = 0 then {DEPTH} else n end as int) as depth,
+        cast(cast(floor(o_orderkey / 64) as bigint) % 3 as int) as shape from counted
 ), keyed as (
-    select *, concat(target, '#', bug) as bug_key from placed
+    select *, concat(target, '#', bug) as bug_key, concat(target, '#pair', cast(floor(bug / 2) as int)) as pair_key from placed
 ), traced as (
     select *, concat_ws(chr(10), {frames}) as head, case when depth > 0 then {_joined(dialect, 'depth', rec)} else '' end as walk, concat_ws(chr(10), {tail}) as tail, {kinds} as kind from keyed
 )
@@ -60,9 +66,9 @@ select crash_id, target, concat(head, chr(10), walk, case when depth > 0 then ch
 from traced"""
 
 
-def planted(spark: SparkSession, sf_dir: str) -> DataFrame:
+def planted(spark: SparkSession, sf_dir: str, hard: bool = False) -> DataFrame:
     """Corpus A: one crash per order; the bug of a crash is known."""
-    return register(spark, sf_dir, "orders", "lineitem").sql(planted_sql())
+    return register(spark, sf_dir, "orders", "lineitem").sql(planted_sql(hard=hard))
 
 
 def prepared(crashes: DataFrame) -> DataFrame:

@@ -35,11 +35,23 @@ def register(spark: SparkSession, sf_dir: str, *names: str) -> SparkSession:
     return spark
 
 
-def read_trace_files(spark: SparkSession, folder: str) -> DataFrame:
-    """crash_id, target, trace from text files laid out as folder/target/crash.txt."""
+def read_trace_files(spark: SparkSession, folder: str, crash: str = r"([^/]+)\.txt$", target: str = r"([^/]+)/[^/]+$") -> DataFrame:
+    """crash_id, target, trace from text files, one a crash, by default laid out as folder/target/crash.txt.
+
+    crash, target: patterns whose first group is the name in a file's path. One line end at the end of a file is not part of the trace.
+    """
     path = F.col("_metadata.file_path")
     raw = spark.read.option("recursiveFileLookup", "true").text(folder, wholetext=True)
-    return raw.select(F.regexp_extract(path, r"([^/]+)\.txt$", 1).alias("crash_id"), F.regexp_extract(path, r"([^/]+)/[^/]+$", 1).alias("target"), F.col("value").alias("trace"))
+    return raw.select(F.regexp_extract(path, crash, 1).alias("crash_id"), F.regexp_extract(path, target, 1).alias("target"), F.regexp_replace("value", r"\n\z", "").alias("trace"))
+
+
+#: Patterns for read_trace_files of what write_trace_files leaves.
+WRITTEN = {"crash": r"crash=([^/]+)/[^/]+$", "target": r"target=([^/]+)/"}
+
+
+def write_trace_files(crashes: DataFrame, folder: str) -> None:
+    """One text file per crash, in a folder for each target and crash. crashes: target, crash_id, trace."""
+    crashes.select("target", F.col("crash_id").cast("string").alias("crash"), F.col("trace").alias("value")).repartition("target", "crash").write.partitionBy("target", "crash").text(folder)
 
 
 def write_points(points: DataFrame, path: str) -> None:
