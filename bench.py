@@ -6,7 +6,6 @@ import json
 import os
 import sys
 import tempfile
-import time
 from pathlib import Path
 
 from pyspark.sql import SparkSession
@@ -47,23 +46,21 @@ def main() -> None:
 
     spark = session()
     spark.range(1000).repartition(int(CPUS)).mapInPandas(lambda it: it, "id long").count()  # workers are up
-    seconds: dict[str, float] = {}
+    log = ms.CostLog()
 
     def timed(name, run):
-        began = time.time()
-        out = run()
-        seconds[name] = round(time.time() - began, 2)
-        return out
+        with log.stage(name):
+            return run()
 
     crashes = timed("render_crashes", lambda: wl.stored(corpus.planted(spark, SF_DIR).repartition(int(CPUS) * 4), "crashes"))
     n = crashes.count()
-    prepared = timed("prepare", lambda: wl.stored(corpus.prepared(crashes), "prepared"))
+    prepared = timed("prepare", lambda: wl.stored(log.observe(corpus.prepared(crashes), "crashes"), "prepared"))
     points, members = collapse_exact(prepared, SOURCES)
-    points, members = timed("collapse", lambda: (wl.stored(points, "points"), wl.stored(members, "members")))
+    points, members = timed("collapse", lambda: (wl.stored(log.observe(points, "distinct_points"), "points"), wl.stored(members, "members")))
     store = f"{wl.scratch(spark)}-store"
-    texts = wl.stored(em.texts_by_hash(prepared, SOURCES), "texts")
+    texts = timed("distinct_texts", lambda: wl.stored(log.observe(em.texts_by_hash(prepared, SOURCES), "texts_embedded"), "texts"))
     vectors = timed("embed", lambda: wl.stored(em.embed_with_store(texts, em.MODELS["hosted_3072"], store), "vectors"))
-    timed("embed_again", lambda: em.missing_texts(texts, spark.read.parquet(f"{store}/model=hosted_3072")).count())
+    timed("embed_again", lambda: log.add("texts_embedded_again", em.missing_texts(texts, spark.read.parquet(f"{store}/model=hosted_3072")).count()))
     built = timed("combine", lambda: wl.stored(em.build_points(points, vectors, SOURCES), "built"))
     buckets = timed("bucket", lambda: wl.stored(expand(bucket(built), members), "buckets"))
     scores = timed("score", lambda: ms.score(buckets, crashes.select("target", "crash_id", "label")).collect())
@@ -71,8 +68,9 @@ def main() -> None:
         timed(f"tree_{s}", lambda s=s: hi.spanning_tree(wl.vectors_of(spark, SF_DIR), s).agg(F.sum("dist")).first())
     for q in ("b5_buckets", "b4_stack_hash"):
         timed(q, lambda q=q: registry.QUERIES[q](spark, SF_DIR).count())
-    workflow = sum(seconds[k] for k in ("prepare", "collapse", "embed", "combine", "bucket", "score"))
-    print(json.dumps({"metric": "planted_workflow_seconds", "value": round(workflow, 2), "unit": "sec", "queries": seconds, "sf": SF_DIR, "crashes": n, "crashes_per_second": round(n / workflow, 1), "distinct_points": points.count(), "texts_embedded": texts.count(), "f_measure": [round(r["f_measure"], 4) for r in scores]}))
+    seconds = {k: round(v, 2) for k, v in log.seconds.items()}
+    workflow = sum(seconds[k] for k in ("prepare", "collapse", "distinct_texts", "embed", "combine", "bucket", "score"))
+    print(json.dumps({"metric": "planted_workflow_seconds", "value": round(workflow, 2), "unit": "sec", "queries": seconds, "sf": SF_DIR, **log.counters(), "crashes_per_second": round(n / workflow, 1), "f_measure": [round(r["f_measure"], 4) for r in scores]}))
 
 
 if __name__ == "__main__":

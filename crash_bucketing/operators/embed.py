@@ -7,6 +7,7 @@ import re
 from collections import Counter
 from collections.abc import Callable, Iterator
 from functools import lru_cache
+from itertools import groupby
 from typing import Protocol
 
 import numpy as np
@@ -83,22 +84,20 @@ class StoredEmbedder:
 
 
 class BatchProviderEmbedder:
-    """A remote service with asynchronous batches: `submit` takes request rows of a batch, `poll` gives the frame of results."""
+    """A remote service with asynchronous batches: `submit` takes the name and the (hash, text) rows of a batch, `poll` gives the frame of results."""
 
-    def __init__(self, submit: Callable[[int, list[tuple[str, str]]], None], poll: Callable[[], DataFrame], name: str = "remote", dim: int = 3072, max_rows: int = 2048, max_bytes: int = 1 << 22):
+    def __init__(self, submit: Callable[[str, list[tuple[str, str]]], None], poll: Callable[[], DataFrame], name: str = "remote", dim: int = 3072, max_rows: int = 2048, max_bytes: int = 1 << 22):
         self.submit, self.poll, self.name, self.dim, self.max_rows, self.max_bytes = submit, poll, name, dim, max_rows, max_bytes
 
     def embed(self, texts: DataFrame, keep: int = KEPT) -> DataFrame:
         submit = self.submit
 
         def send(rows) -> None:
-            batch: dict[int, list] = {}
-            for r in rows:
-                batch.setdefault(r["batch"], []).append((r["hash"], r["text"]))
-            for b, items in batch.items():
-                submit(b, items)
+            # rows of a lane come in order, so one batch is held at a time
+            for (lane, number), some in groupby(rows, key=lambda r: (r["lane"], r["batch"])):
+                submit(f"{lane}-{number}", [(r["hash"], r["text"]) for r in some])
 
-        batch_requests(texts, self.max_rows, self.max_bytes).foreachPartition(send)
+        batch_requests(texts, self.max_rows, self.max_bytes).repartition("lane").sortWithinPartitions("lane", "batch").foreachPartition(send)
         return self.poll().select("hash", vec.truncate(F.col("vec"), keep).alias("vec"))
 
 

@@ -41,13 +41,17 @@ def tiles(points: DataFrame, queries: DataFrame, kernel: Kernel, schema: str, bl
 
         return points.select("point", "vec").mapInPandas(stream, schema)
     p = -(-points.count() // block)
-    dealt = lambda df, own, n, other, m: df.select("point", "vec", F.pmod(F.xxhash64("point"), F.lit(n)).alias(own), F.explode(F.sequence(F.lit(0), F.lit(m - 1))).cast("long").alias(other))
-    a, b = dealt(queries, "i", q, "j", p), dealt(points, "j", p, "i", q)
+
+    def dealt(df: DataFrame, own: str, n: int, other: str, m: int) -> DataFrame:
+        return df.select(F.col("point").alias(f"id_{own}"), F.col("vec").alias(f"vec_{own}"), F.pmod(F.xxhash64("point"), F.lit(n)).alias(f"{own}_{own}"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long"))).alias(f"{own}_{other}"))
+
+    # names differ on both sides: points and queries may be one frame
+    a, b = dealt(queries, "q", q, "p", p), dealt(points, "p", p, "q", q)
 
     def meet(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        return kernel(left["point"].to_numpy(), _matrix(left["vec"]), right["point"].to_numpy(), _matrix(right["vec"])) if len(left) and len(right) else pd.DataFrame({c.split()[0]: [] for c in schema.split(", ")})
+        return kernel(left["id_q"].to_numpy(), _matrix(left["vec_q"]), right["id_p"].to_numpy(), _matrix(right["vec_p"])) if len(left) and len(right) else pd.DataFrame({c.split()[0]: [] for c in schema.split(", ")})
 
-    return a.groupBy("i", "j").cogroup(b.groupBy("i", "j")).applyInPandas(meet, schema)
+    return a.groupBy("q_q", "q_p").cogroup(b.groupBy("p_q", "p_p")).applyInPandas(meet, schema)
 
 
 def _pieces(q: np.ndarray, x: np.ndarray, rows: int = 512) -> Iterator[tuple[int, np.ndarray]]:

@@ -32,7 +32,7 @@ def test_golden_trees(spark):
     golden = {"0.001": (565.722337, 1.020770, 1.198224), "0.01": (565.361534, 0.987080, 1.209722), "0.1": (2186.025953, 0.893470, 1.158087)}
     for sf, (total, low, high) in golden.items():
         r = catalogue.queries()["w13_tree_stats"](spark, f"/root/testdata/sf{sf}").first()
-        assert (r["total"], r["low"], r["high"]) == pytest.approx((total, low, high), abs=1e-6)
+        assert (r["total"], r["low"], r["high"]) == pytest.approx((total, low, high), abs=5e-6)  # a sum of up to 1,999 rounded edges
 
 
 def test_buckets_from_tiles_are_those_of_one_task(spark, e):
