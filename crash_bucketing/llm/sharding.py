@@ -84,7 +84,7 @@ def kd_shards(docs: DataFrame, shards: int = 40, dimensions: dict[str, Column] |
     """Every row with its shard: doc_id, size, text_crc32, shard, slot.
 
     size: UTF-8 bytes of the text (null: 0) plus 16. dimensions: name to numeric column over doc_id, text, lang,
-    source, n_chars; by default the logarithm of the size, bytes per character, and the shares of blanks, digits and line ends, all functions of
+    source, n_chars; by default the logarithm of the size, bytes per character, and the shares of blanks and line ends, all functions of
     the text. tolerance: how far, in parts of a shard's target bytes, a cut may be off where nothing hinders it. Equal texts stay together
     where all of them weigh no more than `group_share` of that target or than the largest document.
     Nulls in a dimension count as its least value; a null text is empty; repeated rows count each. An empty table gives
@@ -93,8 +93,8 @@ def kd_shards(docs: DataFrame, shards: int = 40, dimensions: dict[str, Column] |
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     size = F.octet_length(text).cast("long") + 16
     chars = F.greatest(F.char_length(text), F.lit(1))
-    share = lambda of: 1 - F.char_length(F.translate(text, of, "")) / chars
-    own = {"log_size": F.log2(size), "bytes_per_char": F.octet_length(text) / chars, "blanks": share(" \t"), "digits": share("0123456789"), "line_ends": share("\n")}
+    share = lambda of: 1 - F.octet_length(F.replace(text, F.lit(of), F.lit(""))) / F.greatest(F.octet_length(text), F.lit(1))
+    own = {"log_size": F.log2(size), "bytes_per_char": F.octet_length(text) / chars, "blanks": share(" "), "line_ends": share("\n")}
     chosen = list((dimensions or own).values())
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), size.alias("w"), F.crc32(text).cast("long").alias("crc"), F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(TOP)).alias("tie"), *[c.cast("double").alias(f"raw{i}") for i, c in enumerate(chosen)])
     rows = cut(rows, "metadata")
