@@ -69,6 +69,11 @@ def prefix(keys: np.ndarray, similarity: float, common: np.ndarray, counts: np.n
     return keys[: max(0, len(keys) - int(np.ceil(similarity * len(keys) - SLACK)) + 1)]
 
 
+def _among(keys: np.ndarray, common: np.ndarray) -> np.ndarray:
+    """Which keys are common (sorted)."""
+    return common[np.minimum(np.searchsorted(common, keys), len(common) - 1)] == keys if len(common) else np.zeros(len(keys), dtype=bool)
+
+
 def _long(values: np.ndarray) -> pa.Array:
     return pa.array(values.astype(np.uint64).view(np.int64))
 
@@ -111,7 +116,7 @@ def _listed(similarity: float, size: int, common: np.ndarray, counts: np.ndarray
                 keys = shingle_keys(text or b"", size)
                 some = prefix(keys, similarity, common, counts)
                 n = len(some)
-                yield some, np.full(n, i, np.int64), np.full(n, len(keys), np.int32), np.arange(n, dtype=np.int32), np.full(n, comp, np.int64), np.isin(some, common)
+                yield some, np.full(n, i, np.int64), np.full(n, len(keys), np.int32), np.arange(n, dtype=np.int32), np.full(n, comp, np.int64), _among(some, common)
 
         for batch in batches:
             for key, *more in _packed(rows(batch)):
