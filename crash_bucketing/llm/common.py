@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -27,6 +29,10 @@ def scratch_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+#: Tables written within each open `scope`, innermost last.
+_SCOPES: list[list[DataFrame]] = []
+
+
 def cut(df: DataFrame, name: str = "step") -> DataFrame:
     """Write a frame once to the shared folder and read it back: lineage ends and lost executors cost nothing."""
     spark = df.sparkSession
@@ -34,6 +40,8 @@ def cut(df: DataFrame, name: str = "step") -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
+    if _SCOPES:
+        _SCOPES[-1].append(out)
     return out
 
 
@@ -46,6 +54,28 @@ def drop(df: DataFrame) -> None:
         p.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(p, True)
 
 
+@contextmanager
+def scope() -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Tables that `cut` writes inside are removed at the end, but for those given to the function that it yields."""
+    written: list[DataFrame] = []
+    kept: set[str] = set()
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.add(df._scratch_path)
+        return df
+
+    _SCOPES.append(written)
+    try:
+        yield keep
+    finally:
+        _SCOPES.remove(written)
+        for df in written:
+            if df._scratch_path not in kept:
+                drop(df)
+            elif _SCOPES:
+                _SCOPES[-1].append(df)
+
+
 def join_counted(rows: DataFrame, keyed: DataFrame, key: str, count: str, share: int = 1000) -> DataFrame:
     """Inner join of rows with a table of one row per key that tells in `count` how many rows have it; the count goes.
 

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, ascii_lower, cut, drop, id_text, join_counted
+from .common import as_bytes, ascii_lower, cut, id_text, join_counted, scope
 
 #: The four largest primes below 2^31, a base below them all, bytes per chunk, chunks per block.
 PRIMES = np.array([2147483647, 2147483629, 2147483587, 2147483579], dtype=np.int64)
@@ -136,10 +136,11 @@ def exact_duplicates(docs: DataFrame, segment_chars: int = 1 << 20, broadcast_ro
     per task; a mark shared by different texts (never seen with 124 bits) is told apart by the comparison, and its
     texts are grouped by digest instead.
     """
-    marks = cut(fingerprint_table(docs), "marks")
-    groups = marks.groupBy("mark").agg(F.count("*").alias("n"), F.max(F.struct("doc_id", "text_sha256")).alias("r")).select("mark", "n", F.col("r.doc_id").alias("keep_id"), F.col("r.text_sha256").alias("rep_sha"))
-    groups = cut(groups, "groups")
-    odd = cut(unequal_rows(docs, groups, marks, segment_chars, broadcast_rows), "unequal")
+    with scope() as keep:
+        marks = keep(cut(fingerprint_table(docs), "marks"))
+        groups = marks.groupBy("mark").agg(F.count("*").alias("n"), F.max(F.struct("doc_id", "text_sha256")).alias("r")).select("mark", "n", F.col("r.doc_id").alias("keep_id"), F.col("r.text_sha256").alias("rep_sha"))
+        groups = keep(cut(groups, "groups"))
+        odd = keep(cut(unequal_rows(docs, groups, marks, segment_chars, broadcast_rows), "unequal"))
     if odd.isEmpty():
         out = join_counted(marks, groups.select("mark", "keep_id", F.col("n").alias("group_size"), "n"), "mark", "n")
     else:

@@ -167,11 +167,16 @@ class ByteTagger:
                 np.add.at(sums, np.array(owner)[part], p.sum(axis=0).T)
 
 
-def training_sample(docs: DataFrame, per_language: int, chars: int) -> list[tuple[str, str]]:
-    """(lang, text) of at most `per_language` rows a language that are not held out, from a place inside the text chosen by hash."""
+def training_sample(docs: DataFrame, per_language: int, chars: int, max_languages: int = 1000) -> list[tuple[str, str]]:
+    """(lang, text) of at most `per_language` rows a language that are not held out, from a place inside the text chosen by hash.
+
+    One row a language comes to the driver, at most `max_languages` of them (checked).
+    """
     rows = id_text(docs, F.col("lang").cast("string").alias("lang")).where(~held_out(F.col("doc_id")) & F.col("lang").isNotNull())
     rows = rows.withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)))
-    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).limit(max_languages + 1).collect()}
+    if len(counts) > max_languages:
+        raise ValueError(f"more than {max_languages} languages")
     if not counts:
         return []
     some = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1 << 30, int((1 << 30) * 2.0 * per_language / n) + 1))) for k, n in counts.items()])

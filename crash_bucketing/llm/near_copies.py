@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut, drop, join_counted
+from .common import as_bytes, components, cut, drop, join_counted, scope
 from .simhash import SEED, fingerprint_rows, links, word_shingles
 
 #: Texts of a list that are compared with the others in the first round; each later round takes so many times more.
@@ -264,11 +264,12 @@ def keep_one_of_each(docs: DataFrame, similarity: float = 0.8, shingle_words: in
     # the row stands apart in a struct, so no name of it can clash
     keyed = docs.select(F.struct("*").alias("row"), F.col("doc_id").isNull().alias("none"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("least"), F.xxhash64(*hashable).alias("tie"), words.alias("norm"))
     keyed = keyed.withColumn("digest", F.sha2("norm", 256))
-    # one text for each class of equal word sequences; numbered as they are written, so no two classes share a number
-    classes = keyed.groupBy("digest").agg(F.min("norm").alias("text"), F.min(F.struct("none", "least", "tie")).alias("first"))
-    classes = cut(classes.select(F.monotonically_increasing_id().alias("id"), "digest", "text", "first"), "classes")
-    groups = similar_groups(classes.select("id", "text"), similarity, shingle_words)
-    best = groups.join(classes.select("id", "digest", "first"), "id").groupBy("component").agg(F.min(F.struct("first", "digest")).alias("k"))
-    keepers = cut(best.select("k.digest", "k.first.none", "k.first.least", "k.first.tie"), "keepers")
+    with scope() as keep:
+        # one text for each class of equal word sequences; numbered as they are written, so no two classes share a number
+        classes = keyed.groupBy("digest").agg(F.min("norm").alias("text"), F.min(F.struct("none", "least", "tie")).alias("first"))
+        classes = cut(classes.select(F.monotonically_increasing_id().alias("id"), "digest", "text", "first"), "classes")
+        groups = similar_groups(classes.select("id", "text"), similarity, shingle_words)
+        best = groups.join(classes.select("id", "digest", "first"), "id").groupBy("component").agg(F.min(F.struct("first", "digest")).alias("k"))
+        keepers = keep(cut(best.select("k.digest", "k.first.none", "k.first.least", "k.first.tie"), "keepers"))
     place = ["digest", "none", "least", "tie"]
     return keyed.drop("norm").join(keepers, place, "left_semi").dropDuplicates(place).select("row.*")

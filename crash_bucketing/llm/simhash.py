@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut, drop, id_text, join_counted
+from .common import as_bytes, components, cut, id_text, join_counted, scope
 
 SEED = 42
 #: Above so many different fingerprints on one partial key, the whole-fingerprint variants take over.
@@ -221,13 +221,13 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 4, radius: int = 4, pa
     so copies cost nothing in the search; repeated rows give repeated results. A null id is reachable but never smallest,
     unless all ids of a component are null. An empty table gives an empty result.
     """
-    rows = cut(fingerprint_rows(docs, shingle_words), "fingerprints")
-    nodes = cut(rows.groupBy(F.col("fp0").alias("fp")).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "nodes")
-    pairs = links(nodes.select("fp"), radius, parts, crowd)
-    # nodes carry the fingerprint as their name; the smallest document follows by component
-    comp = cut(components(nodes.select(F.col("fp").alias("id")), pairs).select(F.col("id").alias("fp"), "component"), "components")
-    named = cut(comp.join(nodes, "fp"), "named")
-    drop(comp)
-    least = cut(named.groupBy("component").agg(F.min("id").alias("component_id"), F.count("*").alias("size")), "least")
-    named = cut(join_counted(named, least, "component", "size").select(F.col("fp").alias("fp0"), "component_id", "n"), "named")
+    with scope() as keep:
+        rows = keep(cut(fingerprint_rows(docs, shingle_words), "fingerprints"))
+        nodes = cut(rows.groupBy(F.col("fp0").alias("fp")).agg(F.min("doc_id").alias("id"), F.count("*").alias("n")), "nodes")
+        pairs = links(nodes.select("fp"), radius, parts, crowd)
+        # nodes carry the fingerprint as their name; the smallest document follows by component
+        comp = components(nodes.select(F.col("fp").alias("id")), pairs).select(F.col("id").alias("fp"), "component")
+        named = cut(comp.join(nodes, "fp"), "named")
+        least = cut(named.groupBy("component").agg(F.min("id").alias("component_id"), F.count("*").alias("size")), "least")
+        named = keep(cut(join_counted(named, least, "component", "size").select(F.col("fp").alias("fp0"), "component_id", "n"), "named"))
     return join_counted(rows, named, "fp0", "n").select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
