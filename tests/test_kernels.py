@@ -1,5 +1,7 @@
 """Hand-computed fixtures and invariants of the hierarchy, the search and the quality measures, without Spark."""
 
+import hashlib
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
@@ -87,3 +89,45 @@ def test_degenerate_inputs():
 def test_a_prefix_of_a_projection_is_a_projection():
     e = HashProjectionEmbedder(3072)
     assert (e.vector("a b c", 64) == e.vector("a b c", 3072)[:64]).all()
+
+
+@given(st.lists(st.tuples(st.integers(0, 30), st.integers(0, 30)), min_size=4, max_size=16, unique=True), st.integers(0, 10_000))
+@settings(max_examples=60, deadline=None)
+def test_validity_against_its_definition(rows, seed):
+    x = np.array(rows, dtype=float)
+    label = np.random.default_rng(seed).integers(-1, 3, len(x))
+    names = sorted(set(label.tolist()) - {-1})
+    if len(names) < 2:
+        assert quality.validity(x, label) == 0
+        return
+    dist = lambda a, b: float(np.sqrt(((x[a] - x[b]) ** 2).sum()))
+    members = {k: np.flatnonzero(label == k).tolist() for k in names}
+    core, inner, sparse = {}, {}, {}
+    for k, some in members.items():
+        for a in some:
+            others = [dist(a, b) ** -2 for b in some if b != a]  # two dimensions
+            core[a] = (sum(others) / len(others)) ** -0.5 if others else 0.0
+        edges = sorted((max(core[a], core[b], dist(a, b)), a, b) for i, a in enumerate(some) for b in some[i + 1 :])
+        tree = hierarchy.kruskal(len(x), [(a, b, d) for d, a, b in edges])
+        degree = {a: sum(a in e[:2] for e in tree) for a in some}
+        inner[k] = [a for a in some if degree[a] > 1] or some
+        sparse[k] = max([d for a, b, d in tree if degree[a] > 1 and degree[b] > 1] or [d for _, _, d in tree], default=0.0)
+    if any(len({round(max(core[a], core[b], dist(a, b)), 9) for i, a in enumerate(m) for b in m[i + 1 :]}) < len(m) * (len(m) - 1) / 2 for m in members.values()):
+        return  # equal edges leave the tree open, and with it which points are inside
+    total = 0.0
+    for k, some in members.items():
+        apart = min(max(core[a], core[b], dist(a, b)) for j in names if j != k for a in inner[k] for b in inner[j])
+        top = max(apart, sparse[k])
+        total += len(some) * ((apart - sparse[k]) / top if top else 0.0)
+    assert quality.validity(x, label) == pytest.approx(total / len(x))
+
+
+def test_the_projection_is_a_signed_sum_over_tokens():
+    e = HashProjectionEmbedder(1024, (3,), 5)
+    text = "#3 0x1 in walk (node=0x5) at a.c:7\nwalk again"
+    want = np.zeros(600)
+    for token, n in e.tokens(text).items():
+        bits = b"".join(hashlib.blake2b(token.encode(), digest_size=64, salt=b"5-%d" % b).digest() for b in range(2))
+        want += np.sqrt(n) * np.array([1.0 if bits[i // 8] >> (7 - i % 8) & 1 else -1.0 for i in range(600)])
+    assert e.vector(text, 600) == pytest.approx(want) and e.vector("", 64).tolist() == [0.0] * 64
+    assert e.tokens(text) == e.tokens(text.replace("#3", "#4"))  # running numbers say nothing
