@@ -91,6 +91,11 @@ def join_counted(rows: DataFrame, keyed: DataFrame, key: str, count: str, share:
     return out.unionByName(cold)
 
 
+def parts_for(spark: SparkSession, n_bytes: int, most: int = 1 << 25) -> int:
+    """Partitions for a shuffle of so many bytes: the session's number, more where each would get more than `most` bytes."""
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-n_bytes // most))
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z and nothing else."""
     return F.translate(text, UPPER, UPPER.lower())

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut, drop, join_counted, scope
+from .common import as_bytes, components, cut, drop, join_counted, parts_for, scope
 from .simhash import SEED, fingerprint_rows, links, word_shingles
 
 #: Texts of a list that are compared with the others in the first round; each later round takes so many times more.
@@ -221,7 +221,8 @@ def close_pairs(classes: DataFrame, size: int) -> DataFrame:
 
 def similar_groups(classes: DataFrame, similarity: float, size: int) -> DataFrame:
     """(id, component) of the graph of all pairs of texts of this similarity. classes: (id long, text), no id twice."""
-    n = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # the lists weigh about as much as the texts
+    n = parts_for(classes.sparkSession, classes.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0])
     texts, ids = classes.select("id", "text"), classes.select("id")
     common, counts = common_shingles(classes, size)
     tried = close_pairs(classes, size)

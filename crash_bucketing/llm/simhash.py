@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, components, cut, id_text, join_counted, scope
+from .common import as_bytes, components, cut, id_text, join_counted, parts_for, scope
 
 SEED = 42
 #: Above so many different fingerprints on one partial key, the whole-fingerprint variants take over.
@@ -200,8 +200,8 @@ def links(fps: DataFrame, radius: int = 4, parts: int = 3, crowd: int = CROWD, e
     """
 
     def meet(some: DataFrame, parts: int, crowd: int) -> DataFrame:
-        spark = some.sparkSession
-        n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        rows = sum(len(flips(mask, left)) for mask, left in masks(parts, radius))
+        n = parts_for(some.sparkSession, some.count() * rows * 16)
         return variants(some, radius, parts).repartition(n, "key").sortWithinPartitions("key").mapInArrow(_links(radius, crowd, every), "a long, b long, crowded boolean")
 
     found = cut(meet(fps, parts, crowd).distinct(), "links")
