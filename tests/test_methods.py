@@ -242,3 +242,22 @@ def test_stream_equals_batch_and_files_come_back(spark, tmp_path):
     (tmp_path / "plain" / "t1").mkdir(parents=True)
     (tmp_path / "plain" / "t1" / "c7.txt").write_text("#0 f ()\n#1 g ()")
     assert tuple(tables.read_trace_files(spark, f"{tmp_path}/plain").first()) == ("c7", "t1", "#0 f ()\n#1 g ()")
+
+
+def test_medoids_lie_nearest_to_the_mean(spark):
+    rows = [("t", b, i, [v, 0.0]) for i, (b, v) in enumerate([(0, 0.0), (0, 1.0), (0, 5.0), (1, 7.0), (1, 9.0), (2, 3.0)])]
+    df = spark.createDataFrame(rows, "target string, bucket long, point long, vec array<double>")
+    got = {r["bucket"]: r["point"] for r in nb.representatives(df, df, "medoid").collect()}
+    assert got == {0: 1, 1: 3, 2: 5}  # on a tie the least point
+
+
+def test_costs_add_up(spark):
+    cost = {r["counter"]: r["value"] for r in catalogue.queries()["a12_costs"](spark, SF).collect()}
+    assert cost["crashes"] == spark.read.parquet(f"{SF}/orders.parquet").count() and cost["points"] <= cost["crashes"]
+    assert cost["embedded_again"] == 0 and cost["store_hits_again"] == cost["texts"] <= cost["text_references"] <= 3 * cost["points"]
+    assert cost["selections_made"] + cost["selections_spared"] == 2 * bucketer.Config().num_steps * 5 and cost["partitions_assessed"] <= cost["selections_made"]
+
+
+def test_arrived_points_hold_all_crashes(spark):
+    got = {r["target"]: r["n_crashes"] for r in catalogue.queries()["w14_arrived_buckets"](spark, SF).collect()}
+    assert got == {r["o_orderpriority"]: r["count"] for r in spark.read.parquet(f"{SF}/orders.parquet").groupBy("o_orderpriority").count().collect()}
