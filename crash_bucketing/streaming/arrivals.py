@@ -136,11 +136,11 @@ def late_rows(spark: SparkSession, sf_dir: str, delay: str = "1 day") -> DataFra
     e = load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     ends = e.agg(F.min("ts").alias("a"), F.max("ts").alias("z")).first()
     middle = ends["a"] + (ends["z"] - ends["a"]) / 2 if ends["a"] else None
-    rows = spark.readStream.schema(e.schema).option("recursiveFileLookup", "true").parquet(path)
-    counts = rows.withWatermark("ts", delay).groupBy(F.window("ts", "1 hour"), "event_type").agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "event_type", "n")
     for half in (F.col("ts") >= F.lit(middle), F.col("ts") < F.lit(middle)):  # the stream stops between the two and goes on from its checkpoint
         e.where(half).write.mode("append").parquet(path)
-        kept = drained(counts, path=sink)
+        rows = spark.readStream.schema(e.schema).parquet(path)
+        counts = rows.withWatermark("ts", delay).groupBy(F.window("ts", "1 hour"), "event_type").agg(F.count("*").alias("n"))
+        kept = drained(counts.select(F.col("window.start").alias("start"), "event_type", "n"), path=sink)
     every = load(spark, sf_dir, "events").groupBy("event_type").agg(F.count("*").alias("rows"))
     return every.join(kept.groupBy("event_type").agg(F.sum("n").alias("in_time"), F.min("start").alias("first")), "event_type", "left").select("event_type", "rows", "in_time", (F.col("first") >= F.date_trunc("hour", F.lit(middle))).alias("only_newer"))
 
