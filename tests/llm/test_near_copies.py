@@ -6,7 +6,7 @@ from itertools import combinations
 import numpy as np
 import pytest
 
-from crash_bucketing.llm import near_copies
+from crash_bucketing.llm import common, near_copies
 
 VOCAB = [f"w{i}" for i in range(400)]
 
@@ -85,3 +85,13 @@ def test_prefixes_of_like_sets_meet():
         counts = rng.integers(3, 9, len(common))
         if len(np.intersect1d(x, y)) >= 0.8 * len(np.union1d(x, y)):
             assert len(np.intersect1d(near_copies.prefix(x, 0.8, common, counts), near_copies.prefix(y, 0.8, common, counts)))
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    held = lambda: spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ").split("shuffle_")
+    before = len(held())
+    wide = spark.range(20_000).repartition(4, "id")
+    for _ in range(3):
+        common.cut(wide)
+    assert len(held()) <= before
+    assert spark.conf.get(common.CLEANUP) == "false"
