@@ -118,9 +118,16 @@ def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Events per type in windows of a day that begin every twelve hours; a window is put out once the watermark has passed it."""
-    counts = events(spark, sf_dir).withWatermark("ts", "0 seconds").groupBy(F.window("ts", "1 day", "12 hours"), "event_type").agg(F.count("*").alias("n"))
-    return drained(counts.select(F.col("window.start").alias("start"), "event_type", "n")).select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "event_type", "n")
+    """Events per type in windows of a day that begin every twelve hours; a window is put out once the watermark has passed it.
+
+    Times count to the nearest second, as in the SQL, an even one at the half. The watermark is of these, so a window that ends in the last event's own second may
+    be put out early: such a one is left out.
+    """
+    second = F.timestamp_seconds(F.rint(F.unix_micros("ts") / 1e6).cast("long"))
+    counts = events(spark, sf_dir).withColumn("at", second).withWatermark("at", "0 seconds").groupBy(F.window("at", "1 day", "12 hours"), "event_type").agg(F.count("*").alias("n"))
+    last = load(spark, sf_dir, "events").agg(F.max(F.col("ts").cast("timestamp")).alias("last"))  # one row
+    rows = drained(counts.select(F.col("window.start").alias("start"), F.col("window.end").alias("end"), "event_type", "n"))
+    return rows.crossJoin(F.broadcast(last)).where("end <= last").select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "event_type", "n")
 
 
 def sessions(spark: SparkSession, sf_dir: str, gap: str = "30 minutes") -> DataFrame:
