@@ -1,11 +1,16 @@
 """Ways for many points against the plain ones."""
 
+import shutil
+
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from crash_bucketing.operators import baselines, near
 from crash_bucketing.operators import hierarchy as hi
 from crash_bucketing.plans import search
+from crash_bucketing.plans import workloads as wl
+from crash_bucketing.streaming import arrivals as st
 
 
 def shapes():
@@ -66,3 +71,23 @@ def test_many_blocks_are_few_tiles(spark):
     points = spark.createDataFrame([("t", i, v.tolist()) for i, v in enumerate(x)], "target string, point long, vec array<double>")
     got = hi.spanning_tree(points, "tiles", blocks=1000)
     assert sorted((r["dist"], r["a"], r["b"]) for r in got.collect()) == [(d, a, b) for a, b, d in hi.prim(x)]
+
+
+def test_methods_over_equal_stacks_once(spark):
+    """Rows that stand for several crashes give the tables of all crashes."""
+    sf = "/root/testdata/sf0.001"
+    every = wl.stored(wl.named(spark, sf), "named")
+    rows = wl.shapes(spark, sf)
+    assert rows.count() < every.count() / 4 and rows.agg({"n": "sum"}).first()[0] == every.count()
+    for method in wl.METHODS:
+        assert sorted(wl.method_cells(rows, method).collect()) == sorted(wl.method_cells(every, method).collect())
+
+
+def test_sliding_windows_take_times_to_the_second(spark, tmp_path):
+    """As the SQL does: half a second before noon counts as noon; a window that ends after the last event stays open."""
+    rows = [("2024-01-01 03:00:00", "a"), ("2024-01-01 11:59:59.7", "a"), ("2024-01-01 11:59:59.4", "b"), ("2024-01-02 11:59:59.6", "b")]
+    events = spark.createDataFrame([(i, t, 1, k, 0.0, "{}") for i, (t, k) in enumerate(rows)], "event_id long, ts string, user_id long, event_type string, value double, props string")
+    events.withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(f"{tmp_path}/parts")
+    shutil.copy(next(tmp_path.glob("parts/*.parquet")), tmp_path / "events.parquet")
+    got = {(r["start"], r["event_type"], r["n"]) for r in st.sliding(spark, str(tmp_path)).collect()}
+    assert got == {("2023-12-31 12", "a", 1), ("2023-12-31 12", "b", 1), ("2024-01-01 00", "a", 2), ("2024-01-01 00", "b", 1)}
