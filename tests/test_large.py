@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 
 from crash_bucketing.operators import baselines, near
 from crash_bucketing.operators import hierarchy as hi
+from crash_bucketing.operators import quality as qu
+from crash_bucketing.plans import bucketer as bu
 from crash_bucketing.plans import search
 from crash_bucketing.plans import workloads as wl
 from crash_bucketing.streaming import arrivals as st
@@ -91,3 +93,14 @@ def test_sliding_windows_take_times_to_the_second(spark, tmp_path):
     shutil.copy(next(tmp_path.glob("parts/*.parquet")), tmp_path / "events.parquet")
     got = {(r["start"], r["event_type"], r["n"]) for r in st.sliding(spark, str(tmp_path)).collect()}
     assert got == {("2023-12-31 12", "a", 1), ("2023-12-31 12", "b", 1), ("2024-01-01 00", "a", 2), ("2024-01-01 00", "b", 1)}
+
+
+def test_validity_and_silhouette_of_many_points(monkeypatch):
+    rng = np.random.default_rng(35)
+    for x in shapes():
+        label = rng.integers(-1, 4, len(x))
+        want = qu.validity(x, label), qu.silhouette(x, label, hi.pair_distances(x, x)), bu.furthest(x)
+        with monkeypatch.context() as m:
+            m.setattr(qu, "HELD", 50)
+            m.setattr(bu, "HELD", 50)
+            assert np.allclose(want[:2], (qu.validity(x, label), qu.silhouette(x, label)), atol=1e-6) and bu.furthest(x) == want[2]
