@@ -104,3 +104,17 @@ def test_validity_and_silhouette_of_many_points(monkeypatch):
             m.setattr(qu, "HELD", 50)
             m.setattr(bu, "HELD", 50)
             assert np.allclose(want[:2], (qu.validity(x, label), qu.silhouette(x, label)), atol=1e-6) and bu.furthest(x) == want[2]
+
+
+def test_written_traces_need_no_folder_each(spark, tmp_path):
+    """Names with any sign come back, rows of a crash share a file, and folders are as many as the parts of a target."""
+    from crash_bucketing.sources import tables
+
+    rows = [("de en", f"id {i}/{i}%2F.txt", f"#0 f{i}\n\n") for i in range(300)] + [("_x", ".h", None), ("_x", "twice", "a"), ("_x", "twice", "a")]
+    assert tables.write_trace_files(spark.createDataFrame(rows, "target string, crash_id string, trace string"), f"{tmp_path}/w") == 302
+    folders = [p for p in (tmp_path / "w").glob("*/*") if p.is_dir()]
+    assert len(folders) <= 2 * tables.PARTS and all(f.suffix == ".txt" for p in folders for f in p.iterdir())
+    got = {(r["target"], r["crash_id"]): r["trace"] for r in tables.read_trace_files(spark, f"{tmp_path}/w", **tables.WRITTEN).collect()}
+    assert got == {("de en", f"id {i}/{i}%2F.txt"): f"#0 f{i}\n" + "\n" for i in range(300)} | {("_x", ".h"): "", ("_x", "twice"): "a\na"}
+    assert tables.write_trace_files(spark.createDataFrame([], "target string, crash_id string, trace string"), f"{tmp_path}/none") == 0
+    assert tables.read_trace_files(spark, f"{tmp_path}/none", **tables.WRITTEN).isEmpty()
