@@ -118,3 +118,24 @@ def test_written_traces_need_no_folder_each(spark, tmp_path):
     assert got == {("de en", f"id {i}/{i}%2F.txt"): f"#0 f{i}\n" + "\n" for i in range(300)} | {("_x", ".h"): "", ("_x", "twice"): "a\na"}
     assert tables.write_trace_files(spark.createDataFrame([], "target string, crash_id string, trace string"), f"{tmp_path}/none") == 0
     assert tables.read_trace_files(spark, f"{tmp_path}/none", **tables.WRITTEN).isEmpty()
+
+
+def test_blocks_are_roomy_and_the_choice_by_mass_is_kept(spark, monkeypatch):
+    """More blocks than can be are asked for: blocks are large then. The search asks for the choice by mass once."""
+    assert [hi.blocks_for(n, 100) for n in (50, 500, 1600, 102_564, 10_000_000)] == [2, 5, 16, 7, 16]
+    x = np.random.default_rng(7).standard_normal((90, 6))
+    h = hi.condense(90, hi.minimum_tree(x))
+    first = h.chosen_by_mass("floor")
+    monkeypatch.setattr(hi.Cluster, "stability", lambda self: pytest.fail("computed again"))
+    assert h.chosen_by_mass("floor") == first and h.hybrid(0.5, "floor")[1] == h.raised(first, 0.5)
+
+
+def test_flags_by_words_and_distances_by_rows(monkeypatch):
+    rng = np.random.default_rng(3)
+    for n in (0, 8, 13, 4096):
+        flags = rng.random(n) < 0.05
+        assert near._true(flags).tolist() == np.flatnonzero(flags).tolist()
+    x = rng.standard_normal((70, 9))
+    whole = near.pair_distances(x, x[:50])
+    monkeypatch.setattr(near, "HANDY", 100)
+    assert np.array_equal(near.pair_distances(x, x[:50]), whole) and np.array_equal(near.edge_lengths(x, np.arange(50), np.arange(50)), np.diag(whole[:50]))
