@@ -139,3 +139,23 @@ def test_flags_by_words_and_distances_by_rows(monkeypatch):
     whole = near.pair_distances(x, x[:50])
     monkeypatch.setattr(near, "HANDY", 100)
     assert np.array_equal(near.pair_distances(x, x[:50]), whole) and np.array_equal(near.edge_lengths(x, np.arange(50), np.arange(50)), np.diag(whole[:50]))
+
+
+def test_equal_crashes_are_parsed_once_and_differences_are_counted(spark, monkeypatch):
+    """Rows are those of the plain way, with missing texts, ids that several rows have, and more kinds than may be shared; each kind is parsed once."""
+    kind = "crash_id long, target string, trace string, report string"
+    rows = [(i, f"t{i % 2}", f"#0 f{i % 5} (a)\n#1 main ()", None if i % 3 else "ERROR: x\nSUMMARY: x") for i in range(60)] + [(70, "t0", None, None), (71, "t1", None, "r")]
+    crashes, parsed, plain = spark.createDataFrame(rows, kind), [], st._digests
+    monkeypatch.setattr(st, "_digests", lambda df: parsed.append(df.count()) or plain(df))
+    both = lambda df: (sorted(map(str, st.digests_once(df).collect())), sorted(map(str, plain(df).collect())))
+    once, each = both(crashes)
+    assert once == each and parsed == [12]
+    doubled = crashes.unionAll(spark.createDataFrame([(0, "t9", "#0 other ()", None)], kind))
+    once, each = both(doubled)
+    assert once == each
+    assert st.apart(plain(doubled), plain(crashes)).first()["different"] == 1
+    assert st.apart(plain(crashes), plain(crashes.union(crashes.limit(2)))).first()["different"] == 2
+    assert st.apart(plain(crashes.limit(0)), plain(crashes.limit(0))).first()["different"] == 0
+    monkeypatch.setattr(st, "SHARED", 3)
+    once, each = both(crashes)
+    assert once == each
