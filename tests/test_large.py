@@ -159,3 +159,42 @@ def test_equal_crashes_are_parsed_once_and_differences_are_counted(spark, monkey
     monkeypatch.setattr(st, "SHARED", 3)
     once, each = both(crashes)
     assert once == each
+
+
+def test_cores_of_nested_clusters_come_from_one_look_at_each_pair(monkeypatch):
+    """Clusters that share points, far and near ones, equal points; blocks that end within a cluster."""
+    monkeypatch.setattr(qu, "ROWS", 50)
+    monkeypatch.setattr(qu, "COLUMNS", 70)
+    rng = np.random.default_rng(36)
+    some = np.r_[rng.standard_normal((150, 64)), rng.standard_normal((150, 64)) * 1e-7]
+    for x in (*shapes(), some, np.r_[some, some[:5]]):
+        n = len(x)
+        clusters = [np.arange(0, 100), np.arange(0, n, 2), np.arange(120, n), np.r_[0, n - 1], np.arange(101, 119)]
+        for at, got in zip(clusters, qu.cores_of(x, clusters), strict=True):
+            assert np.allclose(got, qu.all_points_core(x[at], hi.pair_distances(x[at], x[at])), rtol=1e-6)
+    assert sorted(map(sorted, qu.families(200, clusters[:1] + [np.arange(90, 120), np.arange(150, 160)]))) == [[0, 1], [2]]
+
+
+def test_a_search_over_many_points_shares_lists_and_cores(monkeypatch):
+    """The same runs as from all distances; near lists are made once and each core pass covers all partitions."""
+    x = np.random.default_rng(37).standard_normal((700, 5))
+    h = hi.condense(len(x), tree := hi.prim(x))
+    runs = lambda: search.search(lambda eps: h.hybrid(eps, "floor"), tree[0][2], bu.furthest(x))
+    want = [(r.digest, r.validity) for r in search.assess(runs(), h, x)]
+    made, plain = [], qu.cores_of
+    monkeypatch.setattr(qu, "cores_of", lambda x, clusters: made.append(len(clusters)) or plain(x, clusters))
+    for module, name, size in ((qu, "HELD", 50), (search, "HELD", 50), (qu, "GROWN", 20)):
+        monkeypatch.setattr(module, name, size)
+    got = search.assess(runs(), h, x, lists=near.near_lists(x, near.LISTED))
+    assert [r.digest for r in got] == [d for d, _ in want] and len(made) == 1 and made[0] > 2
+    assert np.allclose([r.validity for r in got], [v for _, v in want])
+
+
+def test_least_reachability_by_lists():
+    rng = np.random.default_rng(38)
+    for x in shapes():
+        label = np.sort(np.unique(rng.integers(0, 9, len(x)), return_inverse=True)[1])
+        core = rng.random(len(x)) * np.median(hi.pair_distances(x[:50], x))
+        d = np.maximum(np.maximum(hi.pair_distances(x, x), core), core[:, None])
+        d[label == label[:, None]] = np.inf
+        assert np.array_equal(near.least_apart(x, core, label, near.near_lists(x, 3)), [d[label == k].min() for k in range(label.max() + 1)])
