@@ -198,3 +198,24 @@ def test_least_reachability_by_lists():
         d = np.maximum(np.maximum(hi.pair_distances(x, x), core), core[:, None])
         d[label == label[:, None]] = np.inf
         assert np.array_equal(near.least_apart(x, core, label, near.near_lists(x, 3)), [d[label == k].min() for k in range(label.max() + 1)])
+
+
+def test_partitions_are_named_step_by_step_and_shared_out(spark):
+    """Each label is that of the plain choice at its epsilon; shares together are the whole, the first of equal partitions stands."""
+    rng = np.random.default_rng(39)
+    rows = []
+    for t, x in (("one", rng.standard_normal((1, 3))), ("grid", rng.integers(0, 4, (60, 3)).astype(float)), ("many", rng.standard_normal((200, 3)))):
+        x, _ = hi.merge_equal(x)
+        rows += [(t, 10 * i, v.tolist()) for i, v in enumerate(x)]
+        h = hi.condense(len(x), hi.prim(x))
+        for mode in ("mass", "floor"):
+            whole = [(turn, eps, search.digest(label)) for turn, eps, label, _ in search.changes(h, mode)]
+            assert all(name == search.digest(h.hybrid(eps, mode)[0]) for _, eps, name in whole)
+            assert sorted((turn, eps, search.digest(label)) for k in range(3) for turn, eps, label, _ in search.changes(h, mode, k, 3)) == whole
+    points = spark.createDataFrame(rows, "target string, point long, vec array<double>")
+    got = search.enumerated(hi.placed_tree(points), "floor", 3)
+    want = set()
+    for t in ("one", "grid", "many"):
+        x = np.array([v for name, _, v in rows if name == t])
+        want |= {(t, r.epsilon, r.digest, r.buckets) for r in search.every_partition(hi.condense(len(x), hi.prim(x)), "floor")}
+    assert {(r["target"], r["epsilon"], r["partition_hash"], r["n_buckets"]) for r in got.collect()} == want
