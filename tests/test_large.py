@@ -219,3 +219,21 @@ def test_partitions_are_named_step_by_step_and_shared_out(spark):
         x = np.array([v for name, _, v in rows if name == t])
         want |= {(t, r.epsilon, r.digest, r.buckets) for r in search.every_partition(hi.condense(len(x), hi.prim(x)), "floor")}
     assert {(r["target"], r["epsilon"], r["partition_hash"], r["n_buckets"]) for r in got.collect()} == want
+
+
+def test_size_decides_about_the_way_and_not_about_the_buckets(spark, monkeypatch):
+    """Beyond every size at which the ways once began to sample, and with a search whose choice a sample changes; equal points, missing vectors, a target of one point."""
+    rng = np.random.default_rng(40)
+    x = np.r_[rng.standard_normal((4400, 2)), rng.standard_normal((300, 2)) * 0.01 + 4]
+    x[4000:4040] = x[:40]
+    rows = [("t", i, v.tolist()) for i, v in enumerate(x)] + [("t", 9000, None), ("one", 1, [1.0, 2.0]), ("none", 5, None)]
+    points = wl.stored(spark.createDataFrame(rows, "target string, point long, vec array<double>"), "points")
+    config = bu.Config(root_mode="floor")
+    rows_of = lambda df: sorted(map(tuple, df.select("target", "point", "bucket", "epsilon").collect()))
+    by_tiles = bu.bucket_any(points, config, local=0, block=1000, keep=wl.stored)
+    assert rows_of(by_tiles) == rows_of(bu.bucket_any(points, config)) == rows_of(bu.bucket(points, config))
+    assert {r["exact"] for r in by_tiles.select("exact").distinct().collect()} == {True}
+    # however many points there are, no way is approximate unless the caller says so
+    monkeypatch.setattr(bu, "approximate_tree", lambda *a, **k: pytest.fail("approximate"))
+    huge = points.where("target = 'one'").withColumn("point", F.explode(F.sequence(F.lit(1), F.lit(1_000_002)))).withColumn("point", F.col("point").cast("long"))
+    assert "exact" in bu.bucket_any(huge, config).columns
