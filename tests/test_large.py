@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from crash_bucketing.operators import baselines, near
 from crash_bucketing.operators import hierarchy as hi
+from crash_bucketing.operators import measures as ms
 from crash_bucketing.operators import quality as qu
 from crash_bucketing.plans import bucketer as bu
 from crash_bucketing.plans import search
@@ -237,3 +238,34 @@ def test_size_decides_about_the_way_and_not_about_the_buckets(spark, monkeypatch
     monkeypatch.setattr(bu, "approximate_tree", lambda *a, **k: pytest.fail("approximate"))
     huge = points.where("target = 'one'").withColumn("point", F.explode(F.sequence(F.lit(1), F.lit(1_000_002)))).withColumn("point", F.col("point").cast("long"))
     assert "exact" in bu.bucket_any(huge, config).columns
+
+
+def test_a_point_that_was_compared_with_all_is_not_asked_in_vain(monkeypatch):
+    """Dense groups whose lists hold only their own: a point's least edge out of its component is a bound for later rounds."""
+    rng = np.random.default_rng(41)
+    x = np.repeat(rng.standard_normal((12, 4)) * 10, 40, axis=0) + rng.standard_normal((480, 4)) * 0.01
+    asked, plain = [], near._outgoing
+    monkeypatch.setattr(near, "_outgoing", lambda *a: asked.append(len(a[3])) or plain(*a))
+    a, b, d = near.tree_by_lists(x)
+    assert np.array_equal(d, [e[2] for e in hi.prim(x)]) and len(asked) > 1, asked
+    low, label = np.zeros(480), np.repeat(np.arange(12), 40)
+    plain(x, np.zeros(480), label, np.arange(480), {}, near.Products(x), low)
+    out = np.where(label[:, None] == label, np.inf, hi.pair_distances(x, x)).min(axis=1)
+    assert (low <= out).all() and np.allclose(low, out, rtol=1e-2)
+
+
+def test_type_reports_of_all_methods_are_those_of_each(spark, monkeypatch):
+    """Labels are scored once for all methods."""
+    rng = np.random.default_rng(42)
+    rows = {(m, f"t{rng.integers(2)}", f"l{rng.integers(6)}", f"b{rng.integers(8)}"): int(rng.integers(1, 9)) for m in ("workflow", *wl.METHODS) for _ in range(15)}
+    cells = wl.stored(spark.createDataFrame([(*k, n) for k, n in rows.items()], "method string, target string, label string, bucket string, n long"), "cells")
+    types = spark.createDataFrame([(f"l{i}", f"k{i % 3}", f"p{i % 2}") for i in range(6)] + [("l0", "k1", "p0")], "label string, type string, parent string")
+    want = []
+    for m in ("workflow", *wl.METHODS):
+        own = ms.type_report(ms.label_scores(cells.where(F.col("method") == m).drop("method")), types)
+        want += [(m, *r) for r in own.collect()]
+    scored, plain = [], ms.label_scores
+    monkeypatch.setattr(ms, "label_scores", lambda cells: scored.append(1) or plain(cells))
+    got = wl.method_type_reports(cells, types)
+    key = lambda r: tuple(round(x, 9) if isinstance(x, float) else x for x in r)
+    assert sorted(map(key, got.collect())) == sorted(map(key, want)) and len(scored) == 1
